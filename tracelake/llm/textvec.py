@@ -118,7 +118,7 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, k: int = 5) -> list[np.n
             if len(own) > 1:
                 own = own[np.concatenate(([True], own[1:] != own[:-1]))]
         elif b > a:
-            own = mixed((words[a:b] * _ODD[: b - a]).sum(keepdims=True, dtype=U) + U(b - a) * _ODD[14])
+            own = mixed((words[a:b] * _ODD[: b - a]).sum(keepdims=True, dtype=U) + np.array([b - a], dtype=U) * _ODD[14])
         else:
             own = np.zeros(0, dtype=U)
         out.append(own)
