@@ -34,6 +34,8 @@ ROWS = 5
 BANDS = 2 * PERMUTATIONS // ROWS
 BLOCK = 1024
 MARGIN = 0.155
+#: Up to so many ids of documents to compare, texts are filtered by a broadcast of them.
+BROADCAST_IDS = 2_000_000
 #: 100 * intersection >= PERCENT * union.
 PERCENT = 85
 K = 5
@@ -210,6 +212,9 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     near = met.repartition(n, "task").sortWithinPartitions("key", "left", "right").mapInArrow(_candidates, "task bigint, rep bigint, partners array<bigint>")
     near = common.written(near, "minhash-near")
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("rep"), "text")
+    wanted = common.written(near.select("rep").distinct(), "minhash-wanted")
+    if wanted.count() <= BROADCAST_IDS:  # else the join below shuffles all texts once
+        texts = texts.join(F.broadcast(wanted), "rep", "left_semi")
     pairs = near.join(texts, "rep").select("task", "rep", "partners", "text")
     links = pairs.repartition(n, "task").sortWithinPartitions("task").mapInArrow(_confirm, "a bigint, b bigint")
     groups = components.components(links)
