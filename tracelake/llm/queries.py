@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tracelake.llm import langid, minhash, mixing, packing, pii, vectors
+from tracelake.llm import common, langid, minhash, mixing, packing, pii, vectors, warc
 
 VOCABULARY = "byte_bpe_50k.json"
 
@@ -25,6 +25,12 @@ def op3_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_read(spark, sf_dir, "documents"))
 
 
+def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = common.new_folder(spark, "warc")
+    warc.write(_read(spark, sf_dir, "pages"), folder)
+    return warc.read(spark, folder).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(_read(spark, sf_dir, "documents"))
 
@@ -49,6 +55,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cover_tree": op1_cover_tree,
     "op3_minhash": op3_minhash,
+    "op4_warc": op4_warc,
     "op5_language": op5_language,
     "op7_neighbours": op7_neighbours,
     "op8_packing": op8_packing,
