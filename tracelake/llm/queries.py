@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tracelake.llm import common, langid, minhash, mixing, packing, pii, vectors, warc
+from tracelake.llm import common, langid, licences, minhash, mixing, packing, pii, quotes, vectors, warc
 
 VOCABULARY = "byte_bpe_50k.json"
 
@@ -21,6 +21,10 @@ def op1_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vectors.near_duplicates(_read(spark, sf_dir, "embeddings"))
 
 
+def op2_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(_read(spark, sf_dir, "documents"))
+
+
 def op3_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_read(spark, sf_dir, "documents"))
 
@@ -35,6 +39,10 @@ def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(_read(spark, sf_dir, "documents"))
 
 
+def op6_quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotes.link(_read(spark, sf_dir, "conversations"))
+
+
 def op7_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = _read(spark, sf_dir, "embeddings")
     return vectors.nearest(rows, rows.where(F.col("vec_id") % 100 == 0), k=10)
@@ -54,13 +62,15 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_cover_tree": op1_cover_tree,
+    "op2_licences": op2_licences,
     "op3_minhash": op3_minhash,
     "op4_warc": op4_warc,
     "op5_language": op5_language,
+    "op6_quotes": op6_quotes,
     "op7_neighbours": op7_neighbours,
     "op8_packing": op8_packing,
     "op9_mixing": op9_mixing,
     "op10_pii": op10_pii,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op2_licences": licences.oracle_sql()}
