@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from tracelake import workloads
+
+QUERIES: dict = {**workloads.QUERIES}
+ORACLE_SQL: dict = {**workloads.ORACLE_SQL}
