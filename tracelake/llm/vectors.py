@@ -290,8 +290,14 @@ class CollisionIndex:
         self.lines = np.random.default_rng(seed).standard_normal((x.shape[1], PROJECTIONS))
         self.scale = max(float(np.abs(x).max()), 1e-300)
         shadow = (x / self.scale) @ self.lines
-        self.order = np.argsort(shadow, axis=0, kind="stable").T.copy()
-        self.sorted = np.sort(shadow, axis=0).T.copy()
+        n = len(ids)
+        self.order = np.argsort(shadow, axis=0, kind="stable").T.ravel().copy()
+        # The sorted lines one after the other, each moved beyond the one before,
+        # are one sorted array: a window on every line is one look-up.
+        self.span = 4.0 * float(np.abs(shadow).max()) + 1.0
+        self.shift = np.arange(PROJECTIONS) * self.span
+        self.flat = (np.sort(shadow, axis=0).T + self.shift[:, None]).ravel()
+        self.first = np.arange(PROJECTIONS) * n
         self.start = max(float(shadow.std()) * 0.05, 1e-9)
 
     def nearest(self, q: np.ndarray, own_id: int, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -303,26 +309,23 @@ class CollisionIndex:
         or when the windows hold everything.
         """
         n = len(self.ids)
-        at = (q / self.scale) @ self.lines
-        low = np.array([np.searchsorted(s, v) for s, v in zip(self.sorted, at)])
+        at = (q / self.scale) @ self.lines + self.shift
+        low = np.clip(np.searchsorted(self.flat, at), self.first, self.first + n)
         high = low.copy()
-        hits = np.zeros(n, dtype=np.int32)
+        hits = np.zeros(n, dtype=np.int64)
         checked = self.ids == own_id
         ids, dist = np.zeros(0, np.int64), np.zeros(0)
         radius = self.start
         while True:
-            fresh = []
-            for p in range(PROJECTIONS):
-                line = self.sorted[p]
-                a, b = np.searchsorted(line, (at[p] - WIDTH * radius / 2, at[p] + WIDTH * radius / 2))
-                a, b = min(int(a), int(low[p])), max(int(b), int(high[p]))
-                if a < low[p]:
-                    fresh.append(self.order[p, a : low[p]])
-                if b > high[p]:
-                    fresh.append(self.order[p, high[p] : b])
-                low[p], high[p] = a, b
+            a = np.clip(np.searchsorted(self.flat, at - WIDTH * radius / 2), self.first, low)
+            b = np.clip(np.searchsorted(self.flat, at + WIDTH * radius / 2), high, self.first + n)
+            begin, size = np.concatenate([a, high]), np.concatenate([low - a, b - high])
+            low, high = a, b
+            stop = np.cumsum(size)
+            fresh = stop[-1] > 0
             if fresh:
-                hits += np.bincount(np.concatenate(fresh), minlength=n).astype(np.int32)
+                places = np.repeat(begin - (stop - size), size) + np.arange(stop[-1])
+                hits += np.bincount(self.order[places], minlength=n)
                 new = np.flatnonzero((hits >= COLLISIONS) & ~checked)
                 if len(new):
                     checked[new] = True
@@ -332,7 +335,7 @@ class CollisionIndex:
                     ids, dist = ids[best], dist[best]
             if len(ids) >= k and dist[-1] <= radius * self.scale:
                 break
-            if (low == 0).all() and (high == n).all():
+            if (high - low == n).all():
                 break
             radius *= GROWTH
         return ids, dist
