@@ -2,7 +2,7 @@
 
 Pattern spans (mail addresses, ip addresses, card and phone numbers) are the
 protected entities. A *term* is a lowered run of at least ``TERM_LENGTH`` letters.
-From all distinct texts of the corpus the operator counts how often an entity, a
+From all documents of the corpus the operator counts how often an entity, a
 term, and both occur, and takes the pointwise mutual information of the two as
 what the term tells about the entity. It can be at most the information content
 of the entity. A term that gives away at least ``REMOVE_AT`` of it is removed, one
@@ -101,24 +101,26 @@ def disclosing(holders: DataFrame, docs: DataFrame) -> DataFrame:
     """Terms that give an entity away, per text that holds it: text_hash, removed, generalised (arrays of terms).
 
     ``holders`` has text_hash, text and entities of the texts with pattern spans;
-    ``docs`` is the whole corpus. Counts are over distinct texts: copies of a text
+    ``docs`` is the whole corpus. Counts are of documents; that an entity or a
+    pair is seen often enough is judged on distinct texts, as copies of a text
     are no further evidence. Only terms that are seen often enough together with
     a frequent entity are then counted over the corpus.
     """
-    spark = docs.sparkSession
-    held = holders.select("text_hash", F.explode("entities").alias("entity")).distinct()
-    often = held.groupBy("entity").agg(F.count(F.lit(1)).alias("of_entity")).where(F.col("of_entity") >= SUPPORT)
-    held = common.written(held.join(often, "entity"), "pii-entities")
+    rows = holders.groupBy("text_hash").agg(F.count(F.lit(1)).alias("rows"), F.first("entities").alias("entities"))
+    held = rows.select("text_hash", "rows", F.explode("entities").alias("entity"))
+    often = held.groupBy("entity").agg(F.sum("rows").alias("of_entity"), F.count(F.lit(1)).alias("texts")).where(F.col("texts") >= SUPPORT)
+    held = common.written(held.join(often.drop("texts"), "entity"), "pii-entities")
     texts = holders.join(held.select("text_hash").distinct(), "text_hash", "left_semi").groupBy("text_hash").agg(F.min("text").alias("text"))
     seen = texts.select("text_hash", F.explode(_terms(F.col("text"))).alias("term"))
-    both = held.join(seen, "text_hash").groupBy("entity", "of_entity", "term").agg(F.count(F.lit(1)).alias("of_both"))
-    both = common.written(both.where(F.col("of_both") >= SUPPORT), "pii-pairs")
+    both = held.join(seen, "text_hash").groupBy("entity", "of_entity", "term").agg(F.sum("rows").alias("of_both"), F.count(F.lit(1)).alias("texts"))
+    both = common.written(both.where(F.col("texts") >= SUPPORT).drop("texts"), "pii-pairs")
     wanted = common.written(both.select(F.xxhash64("term").alias("wanted")).distinct(), "pii-terms")
     if wanted.count() <= BROADCAST_TERMS:
         wanted = F.broadcast(wanted)
-    hashed = docs.select(F.xxhash64("text").alias("text_hash"), F.explode(F.transform(_terms(F.col("text")), lambda t: F.xxhash64(t))).alias("t"))
-    counts = hashed.join(wanted, F.col("t") == F.col("wanted")).select("text_hash", "t").distinct().groupBy("t").agg(F.count(F.lit(1)).alias("of_term"))
-    total = docs.select(F.xxhash64("text").alias("text_hash")).distinct().agg(F.count(F.lit(1)).alias("total"))
+    # A row names a term once, so counts need no look at which rows they come from.
+    hashed = docs.select(F.explode(F.transform(_terms(F.col("text")), lambda t: F.xxhash64(t))).alias("t"))
+    counts = hashed.join(wanted, F.col("t") == F.col("wanted")).groupBy("t").agg(F.count(F.lit(1)).alias("of_term"))
+    total = docs.agg(F.count(F.lit(1)).alias("total"))
     known = both.join(counts, F.xxhash64("term") == F.col("t")).crossJoin(F.broadcast(total))  # one row
     content = F.log(F.col("total") / F.col("of_entity"))
     told = F.log(F.col("of_both") * F.col("total") / (F.col("of_entity") * F.col("of_term")))
