@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from tracelake import workloads
+from tracelake import studies, workloads
 
+assert studies  # registers its queries with the workloads
 QUERIES: dict = {**workloads.QUERIES}
 ORACLE_SQL: dict = {**workloads.ORACLE_SQL}

@@ -165,7 +165,7 @@ def search_motif(spark, sf_dir):
     return motif_join(finding("search_exfil_1h"), _events(spark, sf_dir))
 
 
-@register("search_scheduled_vs_single", "SELECT 'only_scheduled' AS side, 0 AS n UNION ALL SELECT 'only_single', 0")
+@register("search_scheduled_vs_single", "SELECT 'only_scheduled' AS side, CAST(0 AS BIGINT) AS n UNION ALL SELECT 'only_single', 0")
 def search_scheduled_vs_single(spark, sf_dir):
     s = _events(spark, sf_dir)
     a = search(finding("search_exfil_1h"), s).bindings.select("e0", "e1")
@@ -201,11 +201,16 @@ def _back(spark, sf_dir, share=MIDDLE, **options) -> DataFrame:
     return _ids(track_back(_seed(spark, sf_dir, share), _events(spark, sf_dir), **options))
 
 
+def _back_files(spark, sf_dir, **options) -> DataFrame:
+    no_net = NodeFilter(drop=condition(Compare("type", "=", "network"), "entity"))
+    return track_back(_seed(spark, sf_dir, MIDDLE), _events(spark, sf_dir), nodes=no_net, limits=Limits(max_hops=4), **options).events.select("event_id", "level")
+
+
 QUERIES["track_back_all"] = _back
 ORACLE_SQL["track_back_all"] = _trace_sql(MIDDLE)
 for _engine in ("bound", "level", "local"):
-    QUERIES[f"track_{_engine}"] = partial(_back, share=EARLY, engine=_engine)
-    ORACLE_SQL[f"track_{_engine}"] = _trace_sql(EARLY)
+    QUERIES[f"track_{_engine}"] = partial(_back_files, engine=_engine)
+    ORACLE_SQL[f"track_{_engine}"] = _trace_sql(MIDDLE, usable="SELECT * FROM ev WHERE category <> 'network'", hops=4, body="SELECT event_id, CAST(min(hop) AS INTEGER) AS level FROM r GROUP BY 1")
 QUERIES["track_queue"] = partial(_back, share=EARLY, engine="queue")
 ORACLE_SQL["track_queue"] = _trace_sql(EARLY)
 
