@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from tracelake import studies, workloads
+from tracelake import catalogue, streamed, studies, workloads
 
-assert studies  # registers its queries with the workloads
+assert catalogue and streamed and studies  # they register their queries with the workloads
 QUERIES: dict = {**workloads.QUERIES}
 ORACLE_SQL: dict = {**workloads.ORACLE_SQL}
