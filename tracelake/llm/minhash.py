@@ -229,5 +229,6 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 def one_of_each(docs: DataFrame) -> DataFrame:
     """``docs`` without the rows that are not kept; needs doc_id and text, keeps the columns."""
-    lost = near_duplicates(docs).where(~F.col("kept")).select(F.col("doc_id").alias("lost_id")).distinct()
-    return docs.join(lost, F.col("doc_id") == F.col("lost_id"), "left_anti")
+    (name,) = common.fresh(docs, "lost_id")
+    lost = near_duplicates(docs.select("doc_id", "text")).where(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(lost, F.col("doc_id") == F.col(name), "left_anti")

@@ -169,16 +169,16 @@ def annotate(docs: DataFrame, spans: str = "spans", clean: str = "clean_text") -
     without pattern spans take no part in any shuffle.
     """
     names = docs.columns
-    base, text_hash, removed, generalised = common.fresh(docs, "base_spans", "text_hash", "removed", "generalised")
+    base, text_hash, removed, generalised, known = common.fresh(docs, "base_spans", "text_hash", "removed", "generalised", "known_hash")
     scanned = docs.withColumn(base, pattern_spans(F.col("text")))
     plain = docs.where(F.size(pattern_spans(F.col("text"))) == 0)
     plain = plain.select(*names, F.array().cast(_SPAN).alias(spans), F.col("text").alias(clean))
     hit = common.written(scanned.where(F.size(base) > 0).withColumn(text_hash, F.xxhash64("text")), "pii-hit")
     entity = F.array_distinct(F.transform(base, lambda s: F.xxhash64(s["kind"], F.lower(s["value"]))))
     terms = disclosing(hit.select(F.col(text_hash).alias("text_hash"), "text", entity.alias("entities")), docs.select("text").where("text is not null"))
-    terms = terms.select(F.col("text_hash").alias("h"), F.col("removed").alias(removed), F.col("generalised").alias(generalised))
-    hit = hit.join(terms, F.col(text_hash) == F.col("h"), "left")
-    more = F.when(F.col("h").isNotNull(), _term_spans(F.col("text"), F.col(removed), F.col(generalised), F.col(base))).otherwise(F.array().cast(_SPAN))
+    terms = terms.select(F.col("text_hash").alias(known), F.col("removed").alias(removed), F.col("generalised").alias(generalised))
+    hit = hit.join(terms, F.col(text_hash) == F.col(known), "left")
+    more = F.when(F.col(known).isNotNull(), _term_spans(F.col("text"), F.col(removed), F.col(generalised), F.col(base))).otherwise(F.array().cast(_SPAN))
     every = F.concat(F.col(base), F.filter(more, lambda s: s["kind"] == "removed"), F.filter(more, lambda s: s["kind"] == "generalised"))
     hit = hit.withColumn(removed, every)
     hit = hit.select(*names, F.col(removed).alias(spans), _sanitised(F.col("text"), F.col(removed)).alias(clean))

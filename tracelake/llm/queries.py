@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tracelake.llm import common, langid, licences, minhash, mixing, packing, pii, quotes, vectors, warc
+from tracelake.llm import common, langid, licences, minhash, mixing, oracles, packing, pii, quotes, vectors, warc
 
 VOCABULARY = "byte_bpe_50k.json"
 
@@ -73,4 +73,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_pii": op10_pii,
 }
 
-ORACLE_SQL: dict[str, str] = {"op2_licences": licences.oracle_sql()}
+ORACLE_SQL: dict[str, str] = dict(oracles.ORACLE_SQL)
