@@ -78,3 +78,13 @@ def test_product_is_flagged():
 
 def test_binding_strength():
     assert parse("x := COMBINE a MINUS b INTERSECT c UNION d;")[0].expression == ("UNION", ("MINUS", "a", ("INTERSECT", "b", "c")), "d")
+
+
+def test_calls_make_the_same_statements():
+    from tracelake.lang.builder import find, trace
+
+    text = 'x := FIND IN STORE("h") ENTITIES f: file (name = "*.arc"), p: process, s STEPS f -read|readv-> p THEN WITHIN 2min p -sendto-> s OR p -> s;'
+    made = find("h").entity("f", "file", 'name = "*.arc"').entity("p", "process").entity("s").step("f", "read|readv", "p").then("p", "sendto", "s", within=(2, "min")).either("p", "", "s").build("x")
+    assert parse(text) == [made]
+    text = 'TRACE BACKWARD FROM ENTITY (pid = 3) IN g DROP NODES (path ~ "/lib") MAX HOPS 3 MAX SPAN 1h;'
+    assert parse(text) == [trace("back", ("entity", "pid = 3"), inside="g", drop_nodes='path ~ "/lib"', max_hops=3, span=(1, "h"))]

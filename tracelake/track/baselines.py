@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -41,12 +43,30 @@ def track_paths(source, event_id: int, max_hops: int, keep=None) -> DataFrame:
     return out if keep is None else out.where(keep)
 
 
-def script(event_id: int, view: str = "trace_events") -> str:
-    """The rounds as one SQL script, for engines that are driven by statements."""
+def script(event_id: int, found: str, view: str = "trace_events", max_rounds: int = 100) -> str:
+    """The rounds as one SQL script: each adds to the table ``found`` the events that depend on the last round's."""
     return f"""
         BEGIN
+            DECLARE hop INT DEFAULT 0;
             DECLARE grown BIGINT DEFAULT 1;
-            CREATE OR REPLACE TEMPORARY VIEW reached AS SELECT event_id, src_id, end_us FROM {view} WHERE event_id = {event_id};
-            SELECT COUNT(*) AS n FROM reached;
+            CREATE TABLE {found} USING parquet AS SELECT event_id, src_id, end_us, 0 AS level FROM {view} WHERE event_id = {event_id};
+            WHILE grown > 0 AND hop < {max_rounds} DO
+                INSERT INTO {found}
+                SELECT e.event_id, e.src_id, e.end_us, hop + 1
+                FROM {view} e
+                JOIN (SELECT src_id, max(end_us) AS bound FROM {found} WHERE level = hop GROUP BY src_id) f ON e.dst_id = f.src_id AND e.start_us < f.bound
+                LEFT ANTI JOIN {found} seen ON seen.event_id = e.event_id;
+                SET hop = hop + 1;
+                SET grown = (SELECT count(*) FROM {found} WHERE level = hop);
+            END WHILE;
         END
     """
+
+
+def track_script(source, event_id: int, max_rounds: int = 100) -> DataFrame:
+    """Runs the script; the table lies in the warehouse and holds event_id and level."""
+    spark = source.events.sparkSession
+    found = f"trace_{uuid.uuid4().hex}"
+    source.edges().createOrReplaceTempView("trace_events")
+    spark.sql(script(event_id, found, max_rounds=max_rounds))
+    return spark.table(found).select("event_id", "level")

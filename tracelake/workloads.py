@@ -17,7 +17,7 @@ from tracelake.search import search
 from tracelake.search.run import monolithic_sql, motif_join, run_monolithic
 from tracelake.session import condition
 from tracelake.track import EdgeFilter, Limits, NodeFilter, Seed, track_back, track_forward, track_many
-from tracelake.track.baselines import run_track_sql, track_paths
+from tracelake.track.baselines import run_track_sql, track_paths, track_script
 
 QUERIES: dict = {}
 ORACLE_SQL: dict = {}
@@ -298,6 +298,11 @@ def track_recursive_sql(spark, sf_dir):
     return run_track_sql(_events(spark, sf_dir), _poi_id(spark, sf_dir, MIDDLE), 3)
 
 
+@register("track_script", _trace_sql(EARLY, hops=4, body="SELECT event_id, CAST(min(hop) AS INTEGER) AS level FROM r GROUP BY 1"))
+def track_script_query(spark, sf_dir):
+    return track_script(_events(spark, sf_dir), _poi_id(spark, sf_dir, EARLY), 4)
+
+
 @register("track_paths_3", oracle.with_events(
     "SELECT len(path) AS steps, count(*) AS paths, count(DISTINCT path[len(path)]) AS events FROM r GROUP BY 1",
     f"r(path, n, b) AS (SELECT [event_id], src_id, end_us FROM ev WHERE {poi(None, '', MIDDLE)} UNION ALL SELECT list_append(r.path, x.event_id), x.src_id, x.end_us FROM r JOIN ev x ON x.dst_id = r.n AND x.start_us < r.b AND NOT list_contains(r.path, x.event_id) WHERE len(r.path) <= 3)", recursive=True,
