@@ -113,7 +113,9 @@ def queue_form(edges: DataFrame, seeds: DataFrame, given: DataFrame, most: int |
 def local_form(edges: DataFrame, seeds: DataFrame, given: DataFrame, most: int | None = None) -> tuple[DataFrame, list[dict]]:
     """All rounds of all cases in one task over a sorted adjacency in memory, for sources of bounded size."""
     starts = [(r.case_id, r.node, r.bound) for r in seeds.collect()]  # as many as the seeds of an investigation
-    known = {(r.case_id, r.event_id) for r in given.collect()}
+    known: dict[int, list[int]] = {}
+    for r in given.collect():
+        known.setdefault(r.case_id, []).append(r.event_id)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(list(batches), schema=_EDGES)
@@ -129,7 +131,7 @@ def local_form(edges: DataFrame, seeds: DataFrame, given: DataFrame, most: int |
             for _, node, high in (s for s in starts if s[0] == case):
                 if node in place:
                     bound[place[node]] = max(bound[place[node]], high)
-            own = np.array([(case, int(e)) in known for e in ids]) if known else np.zeros(len(ids), bool)
+            own = np.isin(ids, known.get(case, []))
             low = np.full(len(names), -EVERYTHING, dtype=np.int64)
             raised, level, found = np.flatnonzero(bound > low), 0, []
             while len(raised) and (most is None or level < most):
