@@ -51,3 +51,26 @@ def test_log_source(spark, tmp_path):
     (tmp_path / "a.log").write_text("1 h x(2) read f:1 res=3\nbad\n")
     spark.dataSource.register(sources.AuditLogSource)
     assert [tuple(r) for r in spark.read.format("auditlog").option("path", str(tmp_path)).load().collect()] == [(1, "h", "x", 2, "read", "f:1", 3, 0)]
+
+
+def test_written_tables_can_be_removed(spark):
+    from pathlib import Path
+
+    from tracelake import plans
+
+    df = plans.pin(spark.range(3))
+    path = Path(plans._written[-1].removeprefix("file://"))
+    assert df.count() == 3 and path.exists()
+    kept, plans._written[:] = plans._written[:-1], plans._written[-1:]
+    plans.cleanup(spark)
+    plans._written[:] = kept
+    assert not path.exists()
+
+
+def test_size_of_inputs(spark, data):
+    from tracelake import plans
+
+    df = spark.read.parquet(f"{data}/lineitem.parquet")
+    assert plans.input_bytes(df) > 10_000
+    assert plans.up_to(df, 10) is None and plans.up_to(df, 10**6, bytes_=10) is None
+    assert plans.up_to(df, 10**6).count() == df.count()

@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tracelake import plans
 from tracelake.track import Seed, track_many
 from tracelake.track.engines import LOCAL_EDGES
 
@@ -46,7 +47,8 @@ def rareness_traces(pois: list[tuple[int, int]], source, limit: int | None = Non
     fan = source.events.groupBy(F.col("src_id").alias("f_id")).agg(F.count(F.lit(1)).alias("fan"))
     rows = rows.join(fan, F.col("src_id") == F.col("f_id"))
     rows = rows.select("event_id", "src_id", "dst_id", "start_us", "end_us", (F.col("rare") * (1 + 1 / (1.0 + F.col("fan")))).alias("priority"))
-    if rows.limit(LOCAL_EDGES + 1).count() > LOCAL_EDGES:
+    rows = plans.up_to(rows, LOCAL_EDGES)
+    if rows is None:
         raise ValueError("prioritised tracing is for sources of bounded size; trace inside a result or a host")
 
     columns = rows.columns

@@ -21,13 +21,44 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+_written: list[str] = []
+
+
+def cleanup(spark: SparkSession) -> None:
+    """Removes the tables that this process wrote; results that still read them must be gone or stored elsewhere."""
+    conf = spark.sparkContext._jsc.hadoopConfiguration()
+    while _written:
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(_written.pop())
+        where.getFileSystem(conf).delete(where, True)
+
+
 def pin(df: DataFrame, name: str = "step") -> DataFrame:
     """``df`` written to the shared folder and read back: cuts the lineage and survives lost executors."""
     path = f"{shared_dir(df.sparkSession)}/tracelake/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _written.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def input_bytes(df: DataFrame) -> int:
+    """Bytes of all inputs of a plan as far as they are known, without running anything."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(str(leaves.apply(k).stats().sizeInBytes())) for k in range(leaves.size())]
+    return sum(s for s in sizes if s < 2**62)
+
+
+def up_to(df: DataFrame, rows: int, bytes_: int = 4 * 2**30) -> DataFrame | None:
+    """``df``, written, if it has at most so many rows; None for more.
+
+    Inputs of more than ``bytes_`` are not looked at. Below, the rows are written
+    once, which serves both the count and what reads them then.
+    """
+    if input_bytes(df) > bytes_:
+        return None
+    held = pin(df.limit(rows + 1), "small")
+    return held if held.count() <= rows else None
+
+
 def estimate(df: DataFrame) -> dict[str, float]:
     """Spark's own estimates for the optimised plan: bytes, and rows where it knows them."""
     stats = df._jdf.queryExecution().optimizedPlan().stats()

@@ -7,6 +7,7 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tracelake import plans
 from tracelake.graph import TraceGraph
 from tracelake.model.store import TraceStore
 from tracelake.track import engines
@@ -117,7 +118,8 @@ def track_many(
             usable = usable.where(F.col("start_us") >= edge[0] - span) if direction == "back" else usable.where(F.col("end_us") <= edge[1] + span)
     paths = engines.directed(usable, direction)
     if engine == "auto":
-        engine = "local" if usable.limit(engines.LOCAL_EDGES + 1).count() <= engines.LOCAL_EDGES else "bound"
+        small = plans.up_to(paths, engines.LOCAL_EDGES)
+        engine, paths = ("bound", paths) if small is None else ("local", small)
     options = {"budget_s": limits.budget_s} if engine == "bound" else {}
     found, steps = engines.FORMS[engine](paths, start, given.select("case_id", "event_id"), limits.max_hops, **options)
     if metrics is not None:

@@ -7,6 +7,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tracelake import plans
 from tracelake.graph import TraceGraph
 from tracelake.lang import parse
 from tracelake.lang.analyze import sql_of
@@ -33,7 +34,10 @@ def register(name: str, sql: str | None = None):
     return wrap
 
 
-_events = views.events
+def _events(spark, sf_dir) -> TraceStore:
+    """The given events as a store that is written once and scanned by each step."""
+    s = views.events(spark, sf_dir)
+    return TraceStore(plans.pin(s.entities, "entities"), plans.pin(s.events, "events"))
 
 
 def _edges_only(df: DataFrame) -> TraceStore:
