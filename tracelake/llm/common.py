@@ -43,6 +43,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._tracelake_path = path
+    _made.add(path)
     return out
 
 
@@ -50,10 +51,22 @@ def drop_written(df: DataFrame) -> None:
     """Remove a table made by :func:`written` that nothing reads any more."""
     path = getattr(df, "_tracelake_path", None)
     if path:
-        jvm = df.sparkSession.sparkContext._jvm
-        conf = df.sparkSession.sparkContext._jsc.hadoopConfiguration()
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(conf).delete(where, True)
+        _delete(df.sparkSession, path)
+
+
+def cleanup(spark: SparkSession) -> None:
+    """Removes all tables that this process wrote; results that still read them must be gone or stored elsewhere."""
+    for path in list(_made):
+        _delete(spark, path)
+
+
+_made: set[str] = set()
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    _made.discard(path)
 
 
 def partitions(spark: SparkSession) -> int:
