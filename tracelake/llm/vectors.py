@@ -363,7 +363,8 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int = 10, vec_id: str = "vec
     segments = max(-(-count // SEGMENT), min(n, -(-count // SMALL_SEGMENT)), 1)
     base = base.withColumn("segment", F.pmod(F.xxhash64("vec_id"), F.lit(segments)).cast("int")).withColumn("asks", F.lit(False))
     asked = asked.withColumn("segment", F.explode(F.sequence(F.lit(0), F.lit(segments - 1)))).withColumn("asks", F.lit(True))
-    both = base.unionByName(asked).repartition(segments, "segment").sortWithinPartitions("segment", "dim", "asks")
+    # By range, as hashes of few segment numbers would put several into one task.
+    both = base.unionByName(asked).repartitionByRange(segments, "segment").sortWithinPartitions("segment", "dim", "asks")
 
     def search(batches):
         for table, bounds in grouped.whole_groups(batches, ["segment", "dim"]):
