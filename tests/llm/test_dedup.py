@@ -153,3 +153,28 @@ def test_neighbours(spark):
     few = vectors.nearest(df.where("vec_id < 4"), df.where("vec_id = 0"), 10).collect()
     assert len(few) == 3
     assert vectors.nearest(df.limit(0), df.limit(0)).count() == 0
+
+
+def test_a_chance_agreement_of_slot_bytes_loses_no_pair():
+    rng = np.random.default_rng(3)
+    one = rng.integers(0, 256, minhash.SKETCH, dtype=np.uint8)
+    two = one.copy()
+    two[2 * minhash.PERMUTATIONS :] += 1  # all slot bytes agree, no band key but the third does
+    third = 2 * minhash.PERMUTATIONS + 4 * 2
+    two[third : third + 4] = one[third : third + 4]
+    i, j = np.array([0]), np.array([1])
+    met = [bool(minhash._close(np.stack([one, two]), band, i, j)[0]) for band in range(5)]
+    assert met == [True, True, True, False, False]
+
+
+def test_pairs_at_the_threshold_are_all_found(spark):
+    rng = random.Random(8)
+    rows = []
+    for k in range(400):  # lone pairs, most of them just above the threshold
+        words = [f"v{k}x{rng.randrange(10**6)}" for _ in range(124)]
+        other = list(words)
+        other[rng.randrange(20, 100)], other[rng.randrange(4)] = "y", "z"
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(other))]
+    got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == brute.near_duplicates(rows)
+    assert sum(not v[2] for v in got.values()) == 400

@@ -11,7 +11,8 @@ Groups of copies never turn into all their pairs as rows:
 * equal sets are one node from the start;
 * a band's bucket is compared inside a task, in blocks of ``BLOCK`` members,
   on one-byte sketches of the signatures; a pair that an earlier band has
-  already brought together is left out;
+  already brought together is left out, told by 32 bits of the band keys (one
+  slot byte each would take some pairs that never met for met, and lose them);
 * what leaves such a task is one row per member with the list of its partners,
   only for partners whose estimate is at most ``MARGIN`` below the threshold
   (about five standard deviations of the estimate at the threshold);
@@ -34,6 +35,8 @@ ROWS = 5
 BANDS = 2 * PERMUTATIONS // ROWS
 BLOCK = 1024
 MARGIN = 0.155
+#: Bytes of a sketch: one for each slot, then four for each band's key.
+SKETCH = 2 * PERMUTATIONS + 4 * BANDS
 #: Up to so many ids of documents to compare, texts are filtered by a broadcast of them.
 BROADCAST_IDS = 2_000_000
 #: 100 * intersection >= PERCENT * union.
@@ -74,12 +77,12 @@ def signatures(docs: DataFrame) -> DataFrame:
                 full = size > 0
                 own = [s for s in sets if len(s)]
                 h = np.zeros((2, b - a), dtype=U)
-                keys, sketches = np.zeros((0, BANDS), dtype=U), np.zeros((0, 2 * PERMUTATIONS), dtype=np.uint8)
+                keys, sketches = np.zeros((0, BANDS), dtype=U), np.zeros((0, SKETCH), dtype=np.uint8)
                 if own:
                     slots = min_max(own)
                     bands = (slots * _MIX)[:, : BANDS * ROWS].reshape(-1, BANDS, ROWS).sum(axis=2, dtype=U)
                     keys = textvec.mixed(bands + np.arange(BANDS, dtype=U))
-                    sketches = ((slots >> U(24)) ^ slots).astype(np.uint8)
+                    sketches = np.hstack([((slots >> U(24)) ^ slots).astype(np.uint8), keys.astype("<u4").view(np.uint8)])
                     starts = np.concatenate([[0], np.cumsum(size[full])[:-1]])
                     every = np.concatenate(own)
                     h[0, full] = textvec.mixed(np.add.reduceat(textvec.mixed(every + U(1)), starts) + size[full].astype(U))
@@ -115,12 +118,14 @@ def _close(sketch: np.ndarray, band: int, i: np.ndarray, j: np.ndarray) -> np.nd
     """Which pairs of a bucket of ``band`` are worth a full comparison, in this bucket."""
     keep = np.zeros(len(i), dtype=bool)
     least = (PERCENT / 100 - MARGIN) * 2 * PERMUTATIONS
+    slots = sketch[:, : 2 * PERMUTATIONS]
+    keys = np.ascontiguousarray(sketch[:, 2 * PERMUTATIONS :]).view("<u4")[:, :band]
     for a in range(0, len(i), 20_000):
-        same = sketch[i[a : a + 20_000]] == sketch[j[a : a + 20_000]]
-        good = same.sum(axis=1) >= least
+        x, y = i[a : a + 20_000], j[a : a + 20_000]
+        good = (slots[x] == slots[y]).sum(axis=1) >= least
         at = np.flatnonzero(good)
         if band and len(at):
-            earlier = same[at, : band * ROWS].reshape(len(at), band, ROWS).all(axis=2).any(axis=1)
+            earlier = (keys[x[at]] == keys[y[at]]).any(axis=1)
             good[at[earlier]] = False
         keep[a : a + 20_000] = good
     return keep
