@@ -178,3 +178,23 @@ def test_pairs_at_the_threshold_are_all_found(spark):
     got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == brute.near_duplicates(rows)
     assert sum(not v[2] for v in got.values()) == 400
+
+
+def test_queries_pass_by_the_index_in_many_batches(spark, monkeypatch):
+    rng = np.random.default_rng(12)
+    x = rng.standard_normal((300, 8))
+    monkeypatch.setattr(vectors, "SMALL_SEGMENT", 100)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+        got = {}
+        for r in vectors.nearest(df, df.where("vec_id % 2 = 0"), 3).collect():
+            got.setdefault(r.query_id, []).append((r.rank, r.vec_id))
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    right = 0
+    for q in range(0, 300, 2):
+        d = ((x - x[q]) ** 2).sum(axis=1)
+        d[q] = np.inf
+        right += len(set(np.argsort(d)[:3].tolist()) & {v for _, v in got[q]})
+    assert set(got) == set(range(0, 300, 2)) and right >= 0.9 * 450

@@ -35,6 +35,11 @@ def whole_groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator
         yield _table(held, keys)
 
 
+def starts(batch: pa.RecordBatch, keys: list[str]) -> np.ndarray:
+    """Where the runs of equal keys begin in one batch, and its end."""
+    return _bounds([batch], keys) if batch.num_rows else np.zeros(1, dtype=np.int64)
+
+
 def _bounds(batches: list[pa.RecordBatch], keys: list[str]) -> np.ndarray:
     n = sum(b.num_rows for b in batches)
     new = np.zeros(n, dtype=bool)

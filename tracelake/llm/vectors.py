@@ -367,19 +367,29 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int = 10, vec_id: str = "vec
     both = base.unionByName(asked).repartitionByRange(segments, "segment").sortWithinPartitions("segment", "dim", "asks")
 
     def search(batches):
-        for table, bounds in grouped.whole_groups(batches, ["segment", "dim"]):
-            ids, asks = (table.column(c).to_numpy(zero_copy_only=False) for c in ("vec_id", "asks"))
+        # Rows of a segment come before its queries, so only the segment is held;
+        # the queries, however many, pass by.
+        here, held, index = None, [], None
+        for batch in batches:
+            bounds = grouped.starts(batch, ["segment", "dim", "asks"])
             for s, e in zip(bounds[:-1].tolist(), bounds[1:].tolist()):
-                x = matrix(table.column("vector").slice(s, e - s))
-                q = np.flatnonzero(asks[s:e].astype(bool))
-                rest = np.flatnonzero(~asks[s:e].astype(bool))
-                if not len(q) or not len(rest):
+                part = batch.slice(s, e - s)
+                place = (part.column("segment")[0].as_py(), part.column("dim")[0].as_py())
+                if place != here:
+                    here, held, index = place, [], None
+                if not part.column("asks")[0].as_py():
+                    held.append(part)
+                    continue
+                if held:
+                    table, held = pa.Table.from_batches(held), []
+                    index = CollisionIndex(matrix(table.column("vector")), table.column("vec_id").to_numpy())
+                if index is None:
                     continue
-                index = CollisionIndex(x[rest], ids[s:e][rest])
-                for p in q.tolist():
-                    found, score = index.nearest(x[p], int(ids[s + p]), k)
+                own_ids = part.column("vec_id").to_numpy()
+                for q, own_id in zip(matrix(part.column("vector")), own_ids.tolist()):
+                    found, score = index.nearest(q, own_id, k)
                     if len(found):
-                        query = pa.array(np.full(len(found), ids[s + p]))
+                        query = pa.array(np.full(len(found), own_id))
                         yield pa.RecordBatch.from_arrays([query, pa.array(found), pa.array(score)], names=["query_id", "vec_id", "score"])
 
     found = both.mapInArrow(search, "query_id bigint, vec_id bigint, score double")
