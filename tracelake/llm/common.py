@@ -73,6 +73,11 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def slice_bits(rows: int, least: int = 6, most: int = 24, rows_each: int = 1_000_000) -> int:
+    """How many top bits of a hash cut ``rows`` rows into slices of about ``rows_each``, whatever the number of rows."""
+    return min(max(least, (max(rows, 1) // rows_each).bit_length()), most)
+
+
 def word_count(text: Column) -> Column:
     """Number of words of a text as a long; null counts as an empty text."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")

@@ -8,7 +8,9 @@ words in proportion to its target.
 
 Exact running sums never put one source into one task: documents of a source are
 cut by their hash into slices of even size, sums run inside a slice, and the
-sums of whole slices are added from a small table.
+sums of whole slices are added from a small table. The number of slices follows
+from the number of rows, so that a slice stays at about a million; the order, and
+with it the mix, is the same for any number.
 """
 
 from __future__ import annotations
@@ -24,9 +26,8 @@ WEIGHTS = (3.0, 1.0, 2.0)
 BUDGET = 1.5
 #: No document is taken more often than this.
 EPOCHS = 2
-#: Slices of one source, and slices of the virtual time.
-SLICES = 64
-TIME_SLICES = 4096
+#: Slices of the virtual time in one unit of it, at least.
+TIME_SLICES = 1024
 
 
 def source_targets(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, epochs: int = EPOCHS) -> DataFrame:
@@ -74,24 +75,22 @@ def mix(docs: DataFrame, weights=WEIGHTS, budget: float = BUDGET, epochs: int =
     narrow = docs.select("doc_id", "source", common.word_count(F.col("text")).alias("size"))
     narrow = common.written(narrow.withColumn("hash", key), "mix-sizes")
     targets = common.written(source_targets(narrow, weights, budget, epochs), "mix-targets")
-    times = common.written(_positions(narrow, targets), "mix-times")
-    held = times.crossJoin(F.broadcast(_cut(times, targets, budget, epochs)))
+    rows = narrow.count()
+    times = common.written(_positions(narrow, targets, common.slice_bits(rows)), "mix-times")
+    fine = max(TIME_SLICES, 2 ** common.slice_bits(rows * epochs))
+    held = times.crossJoin(F.broadcast(_cut(times, targets, budget, epochs, fine)))
     copies = F.lit(0)
     for epoch in range(epochs):
         finish = _finish(epoch)
-        before = _time_slice(finish) < F.col("e_slice")
+        before = _time_slice(finish, fine) < F.col("e_slice")
         within = F.coalesce(_place(finish, epoch) <= F.col("last"), F.lit(False))
         copies = copies + F.when(before | within, 1).otherwise(0)
     return held.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"))
 
 
-def _slice():
-    return F.shiftrightunsigned(F.col("hash"), 58).cast("int")
-
-
-def _positions(narrow: DataFrame, targets: DataFrame) -> DataFrame:
+def _positions(narrow: DataFrame, targets: DataFrame, bits: int) -> DataFrame:
     """Adds source_size, target and upto: the words of the source up to this row, in hash order."""
-    rows = narrow.withColumn("slice", _slice())
+    rows = narrow.withColumn("slice", F.shiftrightunsigned(F.col("hash"), 64 - bits).cast("int"))
     whole = rows.groupBy("source", "slice").agg(F.sum("size").alias("slice_size"))
     ahead = Window.partitionBy("source").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
     whole = whole.select(
@@ -106,8 +105,8 @@ def _positions(narrow: DataFrame, targets: DataFrame) -> DataFrame:
     )
 
 
-def _time_slice(finish):
-    return F.least(finish * 1024, F.lit(float(TIME_SLICES))).cast("int")
+def _time_slice(finish, fine: int):
+    return F.least(finish * fine, F.lit(4.0 * fine)).cast("int")
 
 
 def _finish(epoch):
@@ -124,7 +123,7 @@ def _place(finish, epoch):
     )
 
 
-def _cut(times: DataFrame, targets: DataFrame, budget: float, epochs: int) -> DataFrame:
+def _cut(times: DataFrame, targets: DataFrame, budget: float, epochs: int, fine: int) -> DataFrame:
     """One row: the last place in the global order whose running total is within the budget."""
     items = None
     for epoch in range(epochs):
@@ -132,7 +131,7 @@ def _cut(times: DataFrame, targets: DataFrame, budget: float, epochs: int) -> Da
         items = part if items is None else items.unionAll(part)
     # Fair queueing spreads the words evenly over the virtual time, so slices of
     # the time are a range sort with even parts. Only sums of slices meet.
-    items = items.where("place.size > 0").withColumn("slice", _time_slice(F.col("place.finish")))
+    items = items.where("place.size > 0").withColumn("slice", _time_slice(F.col("place.finish"), fine))
     total = targets.agg(F.coalesce(F.sum("source_size"), F.lit(0)).alias("all")).select((F.col("all") * F.lit(float(budget))).alias("budget"))
     sums = items.groupBy("slice").agg(F.sum("place.size").alias("slice_size"))
     ahead = Window.orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
