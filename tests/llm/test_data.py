@@ -186,3 +186,23 @@ def test_pipeline(spark, data):
             assert max(Counter(r.doc_id for r in after.collect()).values()) <= 2
         before = after
     assert before.columns == ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]
+
+
+def test_slices_do_not_change_the_mix_or_the_packing(spark, monkeypatch):
+    from tracelake.llm import common
+
+    rng = random.Random(6)
+    df = spark.createDataFrame([(k, " ".join("w" * rng.randrange(1, 40)), rng.choice(["a", "b", None])) for k in range(300)], "doc_id long, text string, source string")
+    sizes = df.selectExpr("doc_id", "0 as piece", "length(text) as length")
+    got = []
+    for bits in (6, 1, 11):
+        monkeypatch.setattr(common, "slice_bits", lambda rows, bits=bits: bits)
+        got.append((sorted(map(tuple, mixing.taken(df).collect())), sorted(map(tuple, packing.pack(sizes, 128).collect()))))
+    assert got[0] == got[1] == got[2]
+
+
+def test_number_of_slices_follows_the_rows():
+    from tracelake.llm import common
+
+    assert common.slice_bits(0) == common.slice_bits(1000) == 6
+    assert 10**11 / 2 ** common.slice_bits(10**11) <= 10**6

@@ -24,7 +24,6 @@ WINDOW = 2048
 #: Local search looks at this many underfull bins at once, in rounds, until no move helps.
 SEARCH_BINS = 400
 SEARCH_ROUNDS = 30
-_SLICE_BITS = 6
 
 
 def pieces(docs: DataFrame, vocabulary: str, window: int = WINDOW, keep_ids: bool = False) -> DataFrame:
@@ -179,13 +178,14 @@ def pack(parts: DataFrame, window: int = WINDOW) -> DataFrame:
     Every row gets a place; the places of a sequence follow each other without a
     gap. Rows are ranked within their length by (hash, doc_id, piece); the rank
     is a rank within a slice of the length plus the counts of the slices before,
-    so a length that a third of all rows have is no hot spot. An empty table
-    gives an empty result.
+    so a length that a third of all rows have is no hot spot; the more rows, the
+    more slices. An empty table gives an empty result.
     """
     names = parts.columns
     key, piece_of, rank, ahead = common.fresh(parts, "k_hash", "k_slice", "k_rank", "k_ahead")
     rows = parts.withColumn(key, F.xxhash64("doc_id", "piece"))
-    rows = rows.withColumn(piece_of, F.shiftrightunsigned(F.col(key), 64 - _SLICE_BITS).cast("int"))
+    bits = common.slice_bits(parts.count())
+    rows = rows.withColumn(piece_of, F.shiftrightunsigned(F.col(key), 64 - bits).cast("int"))
     counts = rows.groupBy("length", piece_of).count()
     histogram: Counter = Counter()
     held = counts.groupBy("length").agg(F.sum("count").alias("n")).collect()  # at most `window` rows
