@@ -74,3 +74,16 @@ def test_size_of_inputs(spark, data):
     assert plans.input_bytes(df) > 10_000
     assert plans.up_to(df, 10) is None and plans.up_to(df, 10**6, bytes_=10) is None
     assert plans.up_to(df, 10**6).count() == df.count()
+
+
+def test_relational_source_reads_ranges_and_pushes_filters(spark, tmp_path):
+    url = f"jdbc:derby:{tmp_path}/store;create=true"
+    rows = [(k, f"p{k % 3}") for k in range(100)] + [(None, "none")]
+    spark.createDataFrame(rows, "event_id long, name string").write.mode("append").option("driver", "org.apache.derby.jdbc.EmbeddedDriver").option("createTableColumnTypes", "name VARCHAR(20)").jdbc(url, "edges")
+    read = lambda **o: sources.read_jdbc(spark, url, "edges", driver="org.apache.derby.jdbc.EmbeddedDriver", **o)
+    split = read(column="event_id", parts=4)
+    assert split.rdd.getNumPartitions() == 4 and {tuple(r) for r in split.collect()} == set(rows) and split.count() == 101
+    assert read().count() == 101 and read(columns=["name"]).columns == ["name"]
+    picked = split.where("name = 'p1'")
+    assert picked.count() == 33
+    assert "EqualTo(name,p1)" in picked._jdf.queryExecution().toString().replace(", ", ",")
