@@ -133,6 +133,18 @@ def test_terms_that_give_an_entity_away(spark):
     assert "Zebulon" not in texts[0] and "[EMAIL]" in texts[0] and texts[100] == "Zebulon alone" and texts[20] == dict(rows)[20]
 
 
+def test_terms_of_an_entity_that_one_or_two_texts_hold(spark):
+    rows = [(i, f"contact someone about the case {chr(97 + i % 26)}{chr(97 + i // 26)}xx please") for i in range(300)]
+    rows += [(1000, "contact Quetzal about the case at amy@x.org please")] * 3
+    rows += [(1001, "contact Zebulon please at +1 (988) 555-2485"), (1002, "the case about Zebulon at +1 (988) 555-2485"), (1003, "contact someone at 10.0.0.1 please")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.spans for r in pii.report(df).collect()}
+    assert got[1000] == "email:34:43,removed:8:15"
+    assert [s.split(":", 1)[1] for s in got[1001].split(",")] == ["26:43", "8:15"]
+    assert [s.split(":", 1)[1] for s in got[1002].split(",")] == ["26:43", "15:22"]
+    assert got[1003] == "ip:19:27" and got[5] == ""
+
+
 def test_quotes(spark):
     rows = [
         (1, 0, "user", "Hello there\nmy question is A\nand B"), (1, 1, "bot", "answer one"), (1, 2, "user", "On Monday X wrote:\n> my  QUESTION is A\n>> deep\n> and B\nthat is wrong"),

@@ -7,18 +7,23 @@ term, and both occur, and takes the pointwise mutual information of the two as
 what the term tells about the entity. It can be at most the information content
 of the entity. A term that gives away at least ``REMOVE_AT`` of it is removed, one
 that gives away at least ``GENERALISE_AT`` is generalised to a neutral word, in the
-texts that hold the entity. Nothing is said about an entity or a pair seen in
-fewer than ``SUPPORT`` distinct texts.
+texts that hold the entity. Every entity takes part, also one that a single text
+holds. Whether a pair is more than chance is judged on distinct texts: the
+probability that an unrelated term would be in as many of the entity's texts must
+be at most ``ALPHA``. A term and an entity that both stand in one text only pass in
+a corpus of at least 1 / ``ALPHA`` texts.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tracelake.llm import common
 
-SUPPORT = 3
+ALPHA = 0.01
 REMOVE_AT = 0.95
 GENERALISE_AT = 0.9
 TERM_LENGTH = 3
@@ -97,35 +102,51 @@ def _terms(text: Column) -> Column:
     return F.array_distinct(F.transform(runs, lambda w: F.lower(w)))
 
 
+def _more_than_chance() -> Column:
+    """Chernoff's bound on the chance that an unrelated term is in so many of an entity's texts is at most ``ALPHA``."""
+    n, k = F.col("entity_texts"), F.col("both_texts")
+    # Copies within the entity's texts are taken off; other copies count, which only makes the bound stricter.
+    rate = F.least((F.col("of_term") - F.col("of_both") + k) / F.col("all_texts"), F.lit(1.0))
+    part = k / n
+    others = F.when(k < n, (n - k) * (F.log(1 - part) - F.log(1 - rate))).otherwise(0.0)
+    return (part > rate) & (k * (F.log(part) - F.log(rate)) + others >= -math.log(ALPHA))
+
+
 def disclosing(holders: DataFrame, docs: DataFrame) -> DataFrame:
     """Terms that give an entity away, per text that holds it: text_hash, removed, generalised (arrays of terms).
 
     ``holders`` has text_hash, text and entities of the texts with pattern spans;
-    ``docs`` is the whole corpus. Counts are of documents; that an entity or a
-    pair is seen often enough is judged on distinct texts, as copies of a text
-    are no further evidence. Only terms that are seen often enough together with
-    a frequent entity are then counted over the corpus.
+    ``docs`` is the whole corpus. Counts are of documents; the evidence for a pair
+    is judged on distinct texts, as copies of a text are no further evidence. A
+    term that already the holders have too often to give an entity away is left
+    out before pairs are made; the others are counted over the corpus.
     """
-    rows = holders.groupBy("text_hash").agg(F.count(F.lit(1)).alias("rows"), F.first("entities").alias("entities"))
-    held = rows.select("text_hash", "rows", F.explode("entities").alias("entity"))
-    often = held.groupBy("entity").agg(F.sum("rows").alias("of_entity"), F.count(F.lit(1)).alias("texts")).where(F.col("texts") >= SUPPORT)
-    held = common.written(held.join(often.drop("texts"), "entity"), "pii-entities")
-    texts = holders.join(held.select("text_hash").distinct(), "text_hash", "left_semi").groupBy("text_hash").agg(F.min("text").alias("text"))
-    seen = texts.select("text_hash", F.explode(_terms(F.col("text"))).alias("term"))
-    both = held.join(seen, "text_hash").groupBy("entity", "of_entity", "term").agg(F.sum("rows").alias("of_both"), F.count(F.lit(1)).alias("texts"))
-    both = common.written(both.where(F.col("texts") >= SUPPORT).drop("texts"), "pii-pairs")
+    texts = holders.select("text_hash", "entities", _terms(F.col("text")).alias("terms")).groupBy("text_hash")
+    texts = common.written(texts.agg(F.count(F.lit(1)).alias("rows"), F.first("entities").alias("entities"), F.first("terms").alias("terms")), "pii-texts")
+    held = texts.select("text_hash", "rows", F.explode("entities").alias("entity"))
+    every = held.groupBy("entity").agg(F.sum("rows").alias("of_entity"), F.count(F.lit(1)).alias("entity_texts"))
+    held = common.written(held.join(every, "entity"), "pii-entities")
+    total = docs.agg(F.count(F.lit(1)).alias("total"), F.count_distinct(F.xxhash64("text")).alias("all_texts"))
+    total = F.broadcast(common.written(total, "pii-total"))  # one row
+    seen = texts.select("text_hash", "rows", F.explode("terms").alias("term"))
+    least = seen.groupBy("term").agg(F.sum("rows").alias("least"))
+    seen = seen.drop("rows").join(least, "term")
+    # share >= s means of_term <= of_both * (total / of_entity) ** (1 - s), and of_both is at most of_entity.
+    most = F.pow(F.col("total").cast("double"), 1 - GENERALISE_AT) * F.pow(F.col("of_entity").cast("double"), GENERALISE_AT)
+    both = held.join(seen, "text_hash").crossJoin(total).where(F.col("least") <= most * (1 + 1e-9))
+    both = both.groupBy("entity", "of_entity", "entity_texts", "term").agg(F.sum("rows").alias("of_both"), F.count(F.lit(1)).alias("both_texts"))
+    both = common.written(both, "pii-pairs")
     wanted = common.written(both.select(F.xxhash64("term").alias("wanted")).distinct(), "pii-terms")
-    if wanted.count() <= BROADCAST_TERMS:
-        wanted = F.broadcast(wanted)
     # A row names a term once, so counts need no look at which rows they come from.
     hashed = docs.select(F.explode(F.transform(_terms(F.col("text")), lambda t: F.xxhash64(t))).alias("t"))
-    counts = hashed.join(wanted, F.col("t") == F.col("wanted")).groupBy("t").agg(F.count(F.lit(1)).alias("of_term"))
-    total = docs.agg(F.count(F.lit(1)).alias("total"))
-    known = both.join(counts, F.xxhash64("term") == F.col("t")).crossJoin(F.broadcast(total))  # one row
+    if wanted.count() <= BROADCAST_TERMS:
+        hashed = hashed.join(F.broadcast(wanted), F.col("t") == F.col("wanted"), "left_semi")
+    counts = hashed.groupBy("t").agg(F.count(F.lit(1)).alias("of_term"))
+    known = both.join(counts, F.xxhash64("term") == F.col("t")).crossJoin(total)
     content = F.log(F.col("total") / F.col("of_entity"))
     told = F.log(F.col("of_both") * F.col("total") / (F.col("of_entity") * F.col("of_term")))
     share = F.when(content > 0, told / content)
-    known = known.select("entity", "term", share.alias("share")).where(F.col("share") >= GENERALISE_AT)
+    known = known.where(_more_than_chance()).select("entity", "term", share.alias("share")).where(F.col("share") >= GENERALISE_AT)
     per_text = held.join(common.written(known, "pii-disclosing"), "entity").groupBy("text_hash", "term").agg(F.max("share").alias("share"))
     return per_text.groupBy("text_hash").agg(
         F.collect_list(F.when(F.col("share") >= REMOVE_AT, F.col("term"))).alias("removed"),
