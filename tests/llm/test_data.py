@@ -112,6 +112,18 @@ def test_local_search_empties_bins_that_best_fit_leaves():
         assert sum(n for _, n in made) <= sum(n for _, n in before)
 
 
+@pytest.mark.parametrize("n", [60, 6000, 6_000_000])
+def test_local_search_reaches_all_bins_of_a_pattern(n):
+    made = packing.plan({800: n, 648: n, 600: n}, 2048)
+    assert sum(times for _, times in made) == n and all(sum(p) <= 2048 for p, _ in made)
+    assert sum((Counter({k: c * t for k, c in Counter(p).items()}) for p, t in made), Counter()) == {800: n, 648: n, 600: n}
+
+
+def test_local_search_takes_two_of_many_short_ones():
+    made = packing.local_search([[1] * 450 + [20, 20], [41], [451]], 491)
+    assert [sum(b) for b in made] == [491, 491] and sum(map(len, made)) == 454
+
+
 def _targets(sizes, weights=(3, 1, 2), budget=1.5, cap=2.0):
     names = sorted((s for s in sizes if s is not None), key=lambda s: s.encode()) + [None] * (None in sizes)
     w = {s: weights[k % 3] for k, s in enumerate(names)}

@@ -12,6 +12,7 @@ from __future__ import annotations
 import zlib
 from bisect import bisect_left, insort
 from collections import Counter
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -21,9 +22,6 @@ from pyspark.sql import functions as F
 from tracelake.llm import common, tokens
 
 WINDOW = 2048
-#: Local search looks at this many underfull bins at once, in rounds, until no move helps.
-SEARCH_BINS = 400
-SEARCH_ROUNDS = 30
 
 
 def pieces(docs: DataFrame, vocabulary: str, window: int = WINDOW, keep_ids: bool = False) -> DataFrame:
@@ -92,83 +90,163 @@ def best_fit(histogram: dict[int, int], window: int) -> list[tuple[tuple[int, ..
     return out
 
 
-def local_search(bins: list[list[int]], window: int, rounds: int = SEARCH_ROUNDS) -> list[list[int]]:
+def local_search(bins: list[list[int]], window: int) -> list[list[int]]:
+    """:func:`search` on single bins."""
+    found = search(Counter(tuple(sorted(b)) for b in bins if b), window)
+    return [list(lengths) for lengths, times in found for _ in range(times)]
+
+
+def search(patterns: dict[tuple[int, ...], int], window: int) -> list[tuple[tuple[int, ...], int]]:
     """Moves and swaps between underfull bins; each must raise the sum of squared fills.
 
-    Taken in turn for a pair of bins: move one document, exchange one for one,
-    exchange two for one. Since the sum of fills is constant, a gain means that
-    a fuller bin gets fuller and an emptier one emptier, until it has nothing.
+    For a pair of patterns (lengths in rising order), or two bins of one pattern:
+    move one document, exchange one for one, two for one, one for two. A move is made
+    in as many pairs of bins as there are. Since the sum of fills is constant, a gain
+    means that a fuller bin gets fuller and an emptier one emptier, until it has
+    nothing. It ends when no pair has a move, or with as few bins as can hold the lengths.
     """
-    bins = [sorted(b) for b in bins if b]
-    for _ in range(rounds):
-        bins.sort(key=sum, reverse=True)
-        gain = False
-        for i in range(len(bins)):
-            for j in range(len(bins) - 1, i, -1):
-                big, small = (bins[i], bins[j]) if sum(bins[i]) >= sum(bins[j]) else (bins[j], bins[i])
-                while small and (room := window - sum(big)) and _step(big, small, room):
-                    gain = True
-        bins = [b for b in bins if b]
-        if not gain:
-            break
-    return bins
-
-
-def _step(big: list[int], small: list[int], room: int) -> bool:
-    """Does the move that fills ``big`` most; False if there is none."""
+    count = Counter({p: n for p, n in patterns.items() if n and sum(p) < window})
+    full = Counter({p: n for p, n in patterns.items() if n and sum(p) >= window})
+    least = -(-sum(sum(p) * n for p, n in count.items()) // window)
+    bins = sum(count.values())
+    todo = [(-sum(p), p) for p in count]
+    heapify(todo)
+    done: list[tuple[int, tuple[int, ...]]] = []  # no move between any two of them
+    masks: dict[tuple[int, ...], tuple[int, int, int, int]] = {}
+
+    def of(p):
+        if p not in masks:
+            masks[p] = _masks(p, window)
+        return masks[p]
+
+    def take(p, times):
+        count[p] -= times
+        at = bisect_left(done, (sum(p), p))
+        if not count[p]:
+            del count[p]
+            masks.pop(p, None)
+            if at < len(done) and done[at][1] == p:
+                del done[at]
+
+    def put(p, times):
+        old, count[p] = count[p], count[p] + times
+        at = bisect_left(done, (sum(p), p))
+        known = at < len(done) and done[at][1] == p
+        if known and old == 1:  # two bins of it may have a move
+            del done[at]
+        if not known or old == 1:
+            heappush(todo, (-sum(p), p))
+
+    while todo and bins > least:
+        fill, p = heappop(todo)
+        fill = -fill
+        at = bisect_left(done, (fill, p))
+        if p not in count or (at < len(done) and done[at][1] == p):
+            continue
+        for other, q in [*done, (fill, p)]:
+            if p not in count:
+                break
+            times = count[p] // 2 if p == q else min(count[p], count[q])
+            big, small = (p, q) if fill >= other else (q, p)
+            if not times or not _may_move(of(big), of(small)):
+                continue
+            moved = _moved(big, small, window)
+            take(p, times)
+            take(q, times)
+            for new in moved:
+                if sum(new) == window:
+                    full[new] += times
+                    least, bins = least - times, bins - times
+                elif new:
+                    put(new, times)
+                else:
+                    bins -= times
+        if p in count:
+            insort(done, (fill, p))
+    return sorted((full + count).items())
+
+
+def _masks(p: tuple[int, ...], window: int) -> tuple[int, int, int, int]:
+    """Sets of numbers as bits: the lengths that one, and two, documents for this bin may have in all; those that it can give."""
+    many = Counter(p)
+    ones = sorted(many)
+    twos = {x + y for k, x in enumerate(ones) for y in ones[k:] if x != y or many[x] > 1}
+    span = (1 << (window - sum(p))) - 1
+    for_one = for_two = 0
+    for x in ones:
+        for_two |= span << (x + 1)
+    for_one = for_two | span << 1
+    for x in twos:
+        for_one |= span << (x + 1)
+    return for_one, for_two, sum(1 << x for x in ones), sum(1 << x for x in twos)
+
+
+def _may_move(big: tuple[int, int, int, int], small: tuple[int, int, int, int]) -> bool:
+    """Whether :func:`_step` has a move."""
+    return bool(big[0] & small[2] or big[1] & small[3])
+
+
+def _moved(big: tuple[int, ...], small: tuple[int, ...], window: int) -> tuple[tuple[int, ...], tuple[int, ...]]:
+    """Both bins after all moves between them."""
+    a, b = Counter(big), Counter(small)
+    room = window - sum(big)
+    while b and room and (move := _step(a, b, room)):
+        out, into = move
+        for x in out:
+            a, b = a - Counter((x,)), b + Counter((x,))
+        for x in into:
+            a, b = a + Counter((x,)), b - Counter((x,))
+        room += sum(out) - sum(into)
+    return tuple(sorted(a.elements())), tuple(sorted(b.elements()))
+
+
+def _step(big: Counter, small: Counter, room: int) -> tuple[list[int], list[int]] | None:
+    """The move out of and into ``big`` that fills it most; None if there is none."""
     best, move = 0, None
-    at = bisect_left(small, room + 1)
+    mine, ones = sorted(small), sorted(big)
+    at = bisect_left(mine, room + 1)
     if at:
-        best, move = small[at - 1], ([], [small[at - 1]])
-    for x in sorted(set(big)):
-        at = bisect_left(small, x + room + 1)
-        if at and small[at - 1] - x > best:
-            best, move = small[at - 1] - x, ([x], [small[at - 1]])
-    if best < room and len(big) < 400 and len(small) < 400:
-        ones = sorted(set(big))
-        for k, x in enumerate(ones):
-            for y in ones[k:]:
-                if x == y and big.count(x) < 2:
-                    continue
-                at = bisect_left(small, x + y + room + 1)
-                if at and small[at - 1] - x - y > best:
-                    best, move = small[at - 1] - x - y, ([x, y], [small[at - 1]])
-        mine = sorted(set(small))
-        for k, x in enumerate(mine):
-            for y in mine[k:]:
-                if x == y and small.count(x) < 2:
-                    continue
-                need = x + y - room
-                at = bisect_left(big, max(need, 0))
-                if at < len(big) and x + y - big[at] > best:
-                    best, move = x + y - big[at], ([big[at]], [x, y])
-    if not move:
-        return False
-    out, into = move
-    for x in out:
-        big.remove(x)
-        insort(small, x)
-    for x in into:
-        small.remove(x)
-        insort(big, x)
-    return True
+        best, move = mine[at - 1], ([], [mine[at - 1]])
+    for x in ones:
+        at = bisect_left(mine, x + room + 1)
+        if at and mine[at - 1] - x > best:
+            best, move = mine[at - 1] - x, ([x], [mine[at - 1]])
+    if best == room:
+        return move
+    for k, x in enumerate(ones):
+        for y in ones[k:]:
+            if x + y + best >= mine[-1]:
+                break
+            if x == y and big[x] < 2:
+                continue
+            at = bisect_left(mine, x + y + room + 1)
+            if at and mine[at - 1] - x - y > best:
+                best, move = mine[at - 1] - x - y, ([x, y], [mine[at - 1]])
+    for k, x in enumerate(mine):
+        for y in mine[k:]:
+            if x + y - room > ones[-1]:
+                break
+            if x == y and small[x] < 2:
+                continue
+            at = bisect_left(ones, x + y - room)
+            if at < len(ones) and x + y - ones[at] > best:
+                best, move = x + y - ones[at], ([ones[at]], [x, y])
+    return move
 
 
 def plan(histogram: dict[int, int], window: int = WINDOW) -> list[tuple[tuple[int, ...], int]]:
     """Patterns of bins for a histogram of lengths.
 
-    Best fit first. Then the emptiest bins, at most ``SEARCH_BINS`` of them, are
-    searched; the rest of the underfull bins stay as they are.
+    Best fit first, then local search over all underfull patterns with their counts.
     """
-    patterns = best_fit(histogram, window)
-    open_bins, out = [], []
-    for lengths, times in sorted(patterns, key=lambda p: sum(p[0])):
-        take = min(times, SEARCH_BINS - len(open_bins)) if sum(lengths) < window else 0
-        open_bins += [list(lengths) for _ in range(take)]
-        if times > take:
-            out.append((lengths, times - take))
-    for lengths in local_search(open_bins, window):
-        out.append((tuple(sorted(lengths, reverse=True)), 1))
+    found = search(_summed(best_fit(histogram, window)), window)
+    return [(tuple(sorted(p, reverse=True)), n) for p, n in found]
+
+
+def _summed(patterns: list[tuple[tuple[int, ...], int]]) -> Counter:
+    out: Counter = Counter()
+    for lengths, times in patterns:
+        out[tuple(sorted(lengths))] += times
     return out
 
 
