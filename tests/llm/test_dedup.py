@@ -38,6 +38,18 @@ def test_near_duplicates_are_the_brute_force_ones(spark):
     assert {r.doc_id for r in kept.collect()} == {i for i, v in got.items() if v[2]}
 
 
+def test_near_copies_from_80_percent(spark):
+    text = [f"w{k}" for k in range(100)]
+    near = [*text[:30], "x", *text[31:70], "y", *text[71:]]  # 86 of 106 shingles
+    rows = [*_documents()[:60], (900, " ".join(text)), (901, " ".join(near))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(df, 80).collect()}
+    assert got == brute.near_duplicates(rows, 80) and not got[901][2]
+    assert {r.doc_id for r in minhash.one_of_each(df, 80).collect()} == {i for i, v in got.items() if v[2]}
+    assert {r.doc_id for r in minhash.one_of_each(df).collect()} >= {900, 901}
+    assert (minhash.band_rows(85), minhash.band_rows(80)) == (5, 4)
+
+
 def test_blocks_of_a_large_bucket(spark, monkeypatch):
     monkeypatch.setattr(minhash, "BLOCK", 8)
     rows = _documents()[:100]

@@ -14,7 +14,7 @@ Groups of copies never turn into all their pairs as rows:
   already brought together is left out, told by 32 bits of the band keys (one
   slot byte each would take some pairs that never met for met, and lose them);
 * what leaves such a task is one row per member with the list of its partners,
-  only for partners whose estimate is at most ``MARGIN`` below the threshold
+  only for partners whose estimate is at most :func:`margin` below the threshold
   (about five standard deviations of the estimate at the threshold);
 * the same tasks then get the members' texts, compare full sets, and give a
   spanning forest of the confirmed links.
@@ -22,6 +22,8 @@ Groups of copies never turn into all their pairs as rows:
 
 from __future__ import annotations
 
+from functools import partial
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -31,15 +33,14 @@ from tracelake.llm import common, components, grouped, textvec
 from tracelake.llm.textvec import U
 
 PERMUTATIONS = 64
-ROWS = 5
-BANDS = 2 * PERMUTATIONS // ROWS
+#: Bands are as long as they can be with at most this probability to miss a pair at the threshold.
+MISSED = 1e-6
 BLOCK = 1024
-MARGIN = 0.155
-#: Bytes of a sketch: one for each slot, then four for each band's key.
-SKETCH = 2 * PERMUTATIONS + 4 * BANDS
+#: Standard deviations of the estimate.
+DEVIATIONS = 4.911
 #: Up to so many ids of documents to compare, texts are filtered by a broadcast of them.
 BROADCAST_IDS = 2_000_000
-#: 100 * intersection >= PERCENT * union.
+#: 100 * intersection >= PERCENT * union, where no other percentage is given.
 PERCENT = 85
 K = 5
 
@@ -49,6 +50,21 @@ _B = _RNG.integers(0, 2**63, PERMUTATIONS, dtype=U)
 _MIX = _RNG.integers(0, 2**63, 2 * PERMUTATIONS, dtype=U) * U(2) + U(1)
 
 
+def band_rows(percent: int) -> int:
+    """Slots of a band for a threshold."""
+    missed = lambda rows: (1 - (percent / 100) ** rows) ** (2 * PERMUTATIONS // rows)
+    return max((r for r in range(1, 2 * PERMUTATIONS + 1) if missed(r) <= MISSED), default=1)
+
+
+#: Bytes of a sketch at the default threshold: one for each slot, then four for each band's key.
+SKETCH = 2 * PERMUTATIONS + 4 * (2 * PERMUTATIONS // band_rows(PERCENT))
+
+
+def margin(percent: int) -> float:
+    """How far below the threshold an estimate may be."""
+    return DEVIATIONS * (percent / 100 * (1 - percent / 100) / (2 * PERMUTATIONS)) ** 0.5
+
+
 def min_max(sets: list[np.ndarray]) -> np.ndarray:
     """Signatures, one row per non-empty set: minimum and maximum of every permutation in turn."""
     every = np.concatenate(sets)
@@ -61,11 +77,15 @@ def min_max(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def signatures(docs: DataFrame) -> DataFrame:
+def signatures(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, h1 and h2 (hash of the set), keys (of the bands), sketch.
 
-    A text without words, or null, has n_shingles 0 and nulls.
+    A sketch has a byte for each slot, then four for each band's key. A text
+    without words, or null, has n_shingles 0 and nulls.
     """
+    rows = band_rows(percent)
+    count = 2 * PERMUTATIONS // rows
+    width = 2 * PERMUTATIONS + 4 * count
 
     def sign(batches):
         for batch in batches:
@@ -77,18 +97,18 @@ def signatures(docs: DataFrame) -> DataFrame:
                 full = size > 0
                 own = [s for s in sets if len(s)]
                 h = np.zeros((2, b - a), dtype=U)
-                keys, sketches = np.zeros((0, BANDS), dtype=U), np.zeros((0, SKETCH), dtype=np.uint8)
+                keys, sketches = np.zeros((0, count), dtype=U), np.zeros((0, width), dtype=np.uint8)
                 if own:
                     slots = min_max(own)
-                    bands = (slots * _MIX)[:, : BANDS * ROWS].reshape(-1, BANDS, ROWS).sum(axis=2, dtype=U)
-                    keys = textvec.mixed(bands + np.arange(BANDS, dtype=U))
+                    bands = (slots * _MIX)[:, : count * rows].reshape(-1, count, rows).sum(axis=2, dtype=U)
+                    keys = textvec.mixed(bands + np.arange(count, dtype=U))
                     sketches = np.hstack([((slots >> U(24)) ^ slots).astype(np.uint8), keys.astype("<u4").view(np.uint8)])
                     starts = np.concatenate([[0], np.cumsum(size[full])[:-1]])
                     every = np.concatenate(own)
                     h[0, full] = textvec.mixed(np.add.reduceat(textvec.mixed(every + U(1)), starts) + size[full].astype(U))
                     h[1, full] = textvec.mixed(np.add.reduceat(textvec.mixed(every ^ U(0x5DEECE66D)), starts))
                 mask = pa.array(~full)
-                lists = np.full((b - a, BANDS), 0, dtype=U)
+                lists = np.full((b - a, count), 0, dtype=U)
                 lists[full] = keys
                 blobs = iter(sketches)
                 yield pa.RecordBatch.from_arrays(
@@ -97,7 +117,7 @@ def signatures(docs: DataFrame) -> DataFrame:
                         pa.array(size),
                         pa.array(h[0].view(np.int64), mask=mask.to_numpy(zero_copy_only=False)),
                         pa.array(h[1].view(np.int64), mask=mask.to_numpy(zero_copy_only=False)),
-                        pa.ListArray.from_arrays(np.arange(0, (b - a + 1) * BANDS, BANDS, dtype=np.int32), pa.array(lists.ravel().view(np.int64))),
+                        pa.ListArray.from_arrays(np.arange(0, (b - a + 1) * count, count, dtype=np.int32), pa.array(lists.ravel().view(np.int64))),
                         pa.array([next(blobs).tobytes() if x else None for x in full.tolist()], pa.binary()),
                     ],
                     names=["doc_id", "n_shingles", "h1", "h2", "keys", "sketch"],
@@ -114,10 +134,10 @@ def _block_pairs(m: int, sides: np.ndarray | None) -> tuple[np.ndarray, np.ndarr
     return np.repeat(left, len(right)), np.tile(right, len(left))
 
 
-def _close(sketch: np.ndarray, band: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+def _close(sketch: np.ndarray, band: int, i: np.ndarray, j: np.ndarray, percent: int = PERCENT) -> np.ndarray:
     """Which pairs of a bucket of ``band`` are worth a full comparison, in this bucket."""
     keep = np.zeros(len(i), dtype=bool)
-    least = (PERCENT / 100 - MARGIN) * 2 * PERMUTATIONS
+    least = (percent / 100 - margin(percent)) * 2 * PERMUTATIONS
     slots = sketch[:, : 2 * PERMUTATIONS]
     keys = np.ascontiguousarray(sketch[:, 2 * PERMUTATIONS :]).view("<u4")[:, :band]
     for a in range(0, len(i), 20_000):
@@ -131,7 +151,7 @@ def _close(sketch: np.ndarray, band: int, i: np.ndarray, j: np.ndarray) -> np.nd
     return keep
 
 
-def _candidates(batches):
+def _candidates(batches, percent):
     """Rows (task, rep, partners) for the buckets, or block pairs of buckets, of a sorted stream."""
     for table, bounds in grouped.whole_groups(batches, ["key", "left", "right"]):
         cols = {n: table.column(n).to_numpy(zero_copy_only=False) for n in ("task", "band", "left", "right", "block", "rep")}
@@ -142,7 +162,7 @@ def _candidates(batches):
                 continue
             sides = None if cols["left"][a] == cols["right"][a] else cols["block"][a:b] == cols["left"][a]
             i, j = _block_pairs(b - a, sides)
-            keep = _close(sketch[a:b], int(cols["band"][a]), i, j) & (cols["rep"][a:b][i] != cols["rep"][a:b][j])
+            keep = _close(sketch[a:b], int(cols["band"][a]), i, j, percent) & (cols["rep"][a:b][i] != cols["rep"][a:b][j])
             i, j = i[keep], j[keep]
             if not len(i):
                 continue
@@ -158,7 +178,7 @@ def _candidates(batches):
             yield pa.RecordBatch.from_arrays([pa.array(task, pa.int64()), pa.array(rep, pa.int64()), pa.array(partners, pa.list_(pa.int64()))], names=["task", "rep", "partners"])
 
 
-def _confirm(batches):
+def _confirm(batches, percent):
     """Links (a, b) on full sets: a spanning forest of each task's."""
     for table, bounds in grouped.whole_groups(batches, ["task"]):
         reps = table.column("rep").to_numpy(zero_copy_only=False)
@@ -182,7 +202,7 @@ def _confirm(batches):
                 joined = np.concatenate(many)
                 hit = mine[np.minimum(np.searchsorted(mine, joined), len(mine) - 1)] == joined
                 shared = np.add.reduceat(hit, np.concatenate([[0], np.cumsum(sizes)[:-1]]), dtype=np.int64)
-                for p in np.flatnonzero(100 * shared >= PERCENT * (len(mine) + sizes - shared)).tolist():
+                for p in np.flatnonzero(100 * shared >= percent * (len(mine) + sizes - shared)).tolist():
                     forest.join(k - a, others[p])
             for x, y in forest.links:
                 left.append(int(reps[a + x]))
@@ -191,17 +211,18 @@ def _confirm(batches):
             yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], names=["a", "b"])
 
 
-def near_duplicates(docs: DataFrame) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, component_id, kept.
 
-    Reads doc_id and text. component_id is the smallest doc_id that links reach;
+    Reads doc_id and text. Documents of a Jaccard similarity of ``percent`` or more
+    are linked; bands and margin follow it. component_id is the smallest doc_id that links reach;
     kept says that it is the row's own. Rows that share a doc_id and
     differ in text are compared as documents of their own. A text without words links with nothing; a row without
     doc_id is linked with nothing, has component_id null and is kept. An empty
     table gives an empty result.
     """
     n = common.partitions(docs.sparkSession)
-    signed = common.written(signatures(docs), "minhash-signatures")
+    signed = common.written(signatures(docs, percent), "minhash-signatures")
     reps = signed.where("h1 is not null and doc_id is not null").groupBy("h1", "h2").agg(
         F.min("doc_id").alias("rep"), F.first("keys").alias("keys"), F.first("sketch").alias("sketch")
     )
@@ -214,14 +235,14 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     met = met.withColumn("left", F.least("block", "other")).withColumn("right", F.greatest("block", "other"))
     met = met.select("key", "band", "left", "right", "block", "rep", F.xxhash64("key", "left", "right").alias("task"))
     met = met.join(reps.select("rep", "sketch"), "rep")
-    near = met.repartition(n, "task").sortWithinPartitions("key", "left", "right").mapInArrow(_candidates, "task bigint, rep bigint, partners array<bigint>")
+    near = met.repartition(n, "task").sortWithinPartitions("key", "left", "right").mapInArrow(partial(_candidates, percent=percent), "task bigint, rep bigint, partners array<bigint>")
     near = common.written(near, "minhash-near")
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("rep"), "text")
     wanted = common.written(near.select("rep").distinct(), "minhash-wanted")
     if wanted.count() <= BROADCAST_IDS:  # else the join below shuffles all texts once
         texts = texts.join(F.broadcast(wanted), "rep", "left_semi")
     pairs = near.join(texts, "rep").select("task", "rep", "partners", "text")
-    links = pairs.repartition(n, "task").sortWithinPartitions("task").mapInArrow(_confirm, "a bigint, b bigint")
+    links = pairs.repartition(n, "task").sortWithinPartitions("task").mapInArrow(partial(_confirm, percent=percent), "a bigint, b bigint")
     groups = components.components(links)
     of_set = reps.select("h1", "h2", "rep").join(groups, F.col("rep") == F.col("node"), "left")
     of_set = of_set.select(F.col("h1").alias("s1"), F.col("h2").alias("s2"), F.coalesce("component", "rep").alias("component"))
@@ -232,8 +253,8 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     )
 
 
-def one_of_each(docs: DataFrame) -> DataFrame:
+def one_of_each(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """``docs`` without the rows that are not kept; needs doc_id and text, keeps the columns."""
     (name,) = common.fresh(docs, "lost_id")
-    lost = near_duplicates(docs.select("doc_id", "text")).where(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct()
+    lost = near_duplicates(docs.select("doc_id", "text"), percent).where(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct()
     return docs.join(lost, F.col("doc_id") == F.col(name), "left_anti")
