@@ -161,6 +161,19 @@ def test_quotes(spark):
     assert quotes.link(df.limit(0)).count() == 0
 
 
+def test_nested_rewrapped_and_foreign_quotations(spark):
+    five = [f"line {k} of the first" for k in "abcde"]
+    rows = [
+        (1, 1, "u", "\n".join(five)), (1, 2, "u", "\n".join([*("> " + x for x in five), "one more"])), (1, 3, "u", "\n".join(["> one more", *(">> " + x for x in five), "end"])),
+        (2, 0, "u", "a long sentence that\nis wrapped"), (2, 1, "u", "other"), (2, 2, "u", "> a long\n> sentence that is\n> wrapped\nyes"),
+        (3, 0, "u", "> said later\nfoo"), (3, 1, "u", "said later"), (4, 0, "u", "Said later!"),
+    ]
+    got = {(r.conv_id, r.turn): r for r in quotes.link(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    assert [got[1, t].reply_turn for t in (1, 2, 3)] == [None, 1, 2] and got[1, 3].linked_lines == 6
+    assert (got[2, 2].reply_turn, got[2, 2].linked_lines) == (0, 3)
+    assert (got[3, 0].quoted_conv, got[3, 0].quoted_turn, got[3, 0].reply_turn) == (4, 0, None)
+
+
 @pytest.mark.parametrize("n", [200])
 def test_a_long_conversation_is_ordered(spark, n):
     rows = [(7, t, "u", f"line {t}" if t % 3 else f"> line {t // 2}\nreply {t}") for t in range(n)]

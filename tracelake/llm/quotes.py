@@ -1,11 +1,12 @@
 """Quotation linking in conversations (DataFrame functions only).
 
 A line's quote level is the number of its leading ``>`` signs. The lines of level
-0 are the message's own. Quoted passages are hashed line by line in a normal form
-and joined to the messages that first said such a line: in the same conversation
-at an earlier turn, else anywhere. The parent of a message is the earlier turn that
-most of its quoted lines come from (ties: the later turn); a message without such
-lines answers the turn before it.
+0 are the message's own. Quoted lines, and passages (neighbouring lines of one level
+up to a blank one) joined to one line, are hashed in a normal form and joined to the
+messages that first said such a line, paragraph or text: in the same conversation at
+an earlier turn, else in the smallest other one. The parent of a message is the
+earlier turn that most quoted lines of the lowest level that links come from (ties:
+the later turn); a message without such lines answers the turn before it.
 """
 
 from __future__ import annotations
@@ -50,31 +51,44 @@ def link(turns: DataFrame) -> DataFrame:
     rows = rows.withColumn("kept", F.when(F.col("text").isNotNull(), keep))
     rows = common.written(rows, "quotes-turns")
 
-    asked = rows.where((F.size("quoted") > 0) & F.col("conv_id").isNotNull() & F.col("turn").isNotNull())
-    asked = asked.select("conv_id", "turn", F.explode("quoted").alias("line")).select("conv_id", "turn", _normal(F.col("line")).alias("line"))
-    asked = asked.where("line <> ''").groupBy("conv_id", "turn", F.xxhash64("line").alias("h")).agg(F.count(F.lit(1)).alias("n"))
-    asked = common.written(asked, "quotes-asked")
+    asked = rows.where((F.size("quoted") > 0) & F.col("conv_id").isNotNull() & F.col("turn").isNotNull()).withColumn("row", F.monotonically_increasing_id())
+    asked = asked.select("conv_id", "turn", "row", F.posexplode(F.split("text", "\n")).alias("at", "raw"))
+    asked = asked.select("conv_id", "turn", "row", "at", _level(F.col("raw")).alias("level"), _normal(F.col("raw")).alias("line"))
+    asked = common.written(asked.withColumn("level", F.when(F.col("line") != "", F.col("level")).otherwise(0)), "quotes-lines")
+    inside = Window.partitionBy("row").orderBy("at")
+    asked = asked.withColumn("passage", F.sum((F.col("level") != F.lag("level", 1, 0).over(inside)).cast("int")).over(inside)).where("level > 0")
+    joined = asked.groupBy("row", "passage").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("at", "line"))), lambda x: x["line"]), " ").alias("line"))
+    joined = joined.select("row", "passage", F.xxhash64("line").alias("whole"))
+    asked = asked.join(joined, ["row", "passage"])
+    keys = F.array_distinct(F.array(F.xxhash64("line"), F.col("whole")))
+    asked = common.written(asked.select("conv_id", "turn", "row", "at", "level", F.posexplode(keys).alias("joined", "h")), "quotes-asked")
     wanted = asked.select(F.col("h").alias("w")).distinct()
     said = rows.where("conv_id is not null and turn is not null and kept is not null")
-    said = said.select("conv_id", "turn", F.explode(F.split("kept", "\n")).alias("line")).select("conv_id", "turn", F.xxhash64(_normal(F.col("line"))).alias("h"))
+    every = F.concat(F.split("kept", "\n"), F.split("kept", r"\n\s*\n"), F.array("kept"))
+    said = said.select("conv_id", "turn", F.explode(F.array_distinct(F.transform(every, lambda x: F.xxhash64(_normal(x))))).alias("h"))
     said = said.join(wanted, F.col("h") == F.col("w"), "left_semi")
     first_here = said.groupBy(F.col("conv_id").alias("c"), F.col("h").alias("hh")).agg(F.min("turn").alias("t"))
     first_here = common.written(first_here, "quotes-first")
-    anywhere = first_here.groupBy(F.col("hh").alias("ha")).agg(F.min(F.struct(F.col("c"), F.col("t"))).alias("a"))
+    anywhere = common.written(first_here.groupBy(F.col("hh").alias("ha")).agg(F.min(F.struct(F.col("c"), F.col("t"))).alias("a")), "quotes-anywhere")
+    second = first_here.join(anywhere, (F.col("hh") == F.col("ha")) & (F.col("c") != F.col("a.c")))
+    second = second.groupBy(F.col("hh").alias("hb")).agg(F.min(F.struct(F.col("c"), F.col("t"))).alias("b"))
     here = asked.join(first_here, (F.col("conv_id") == F.col("c")) & (F.col("h") == F.col("hh")) & (F.col("t") < F.col("turn")), "left")
-    found = here.join(anywhere, F.col("h") == F.col("ha"), "left")
-    other = F.col("t").isNull() & F.col("a").isNotNull() & (F.col("a.c") != F.col("conv_id"))
-    found = found.select(
-        "conv_id", "turn", "n",
-        F.when(F.col("t").isNotNull(), F.col("conv_id")).when(other, F.col("a.c")).alias("q_conv"),
-        F.when(F.col("t").isNotNull(), F.col("t")).when(other, F.col("a.t")).alias("q_turn"),
-    ).where("q_conv is not null")
-    votes = found.groupBy("conv_id", "turn", "q_conv", "q_turn").agg(F.sum("n").alias("votes"))
-    inside = F.col("q_conv") == F.col("conv_id")
-    order = F.struct(F.col("votes"), inside.cast("int").alias("inside"), F.col("q_turn"), F.col("q_conv"))
-    best = votes.groupBy(F.col("conv_id").alias("b_conv"), F.col("turn").alias("b_turn")).agg(
-        F.sum("votes").alias("linked_lines"), F.max(order).alias("top"), F.max(F.when(inside, order)).alias("near")
-    )
+    found = here.join(anywhere, F.col("h") == F.col("ha"), "left").join(second, F.col("h") == F.col("hb"), "left")
+    other = F.when(F.col("a.c") != F.col("conv_id"), F.col("a")).otherwise(F.col("b"))
+    near, far = F.col("t").isNotNull(), other.isNotNull()
+    # A line links by itself before its passage does, and here before elsewhere.
+    source = F.when(near, F.struct(F.col("joined").alias("order"), F.col("conv_id").alias("c"), F.col("t").alias("t"))).when(
+        far, F.struct((F.col("joined") + 2).alias("order"), other["c"].alias("c"), other["t"].alias("t"))
+    )
+    found = found.groupBy("conv_id", "turn", "row", "at", "level").agg(F.min(source).alias("source")).where("source is not null")
+    found = found.select("conv_id", "turn", "level", F.col("source.c").alias("q_conv"), F.col("source.t").alias("q_turn"))
+    votes = found.groupBy("conv_id", "turn", "q_conv", "q_turn", "level").agg(F.count(F.lit(1)).alias("votes"))
+    own_conv = F.col("q_conv") == F.col("conv_id")
+    parents = votes.groupBy(F.col("conv_id").alias("p_conv"), F.col("turn").alias("p_turn")).agg(F.max(F.when(own_conv, F.struct(-F.col("level"), "votes", "q_turn"))).alias("near"))
+    votes = votes.groupBy("conv_id", "turn", "q_conv", "q_turn").agg(F.sum("votes").alias("votes"))
+    order = F.struct(F.col("votes"), own_conv.cast("int").alias("inside"), F.col("q_turn"), F.col("q_conv"))
+    best = votes.groupBy(F.col("conv_id").alias("b_conv"), F.col("turn").alias("b_turn")).agg(F.sum("votes").alias("linked_lines"), F.max(order).alias("top"))
+    best = best.join(parents, (F.col("b_conv") == F.col("p_conv")) & (F.col("b_turn") == F.col("p_turn"))).drop("p_conv", "p_turn")
 
     keys = rows.where("conv_id is not null and turn is not null").select(F.col("conv_id").alias("k_conv"), F.col("turn").alias("k_turn")).distinct()
     keys = keys.withColumn("slice", F.floor(F.col("k_turn") / SLICE))
