@@ -60,3 +60,9 @@ def test_story_on_the_planted_case(spark, data):
 
     got = {r.event_id - 10_000_002_000 for r in registry.QUERIES["case_study"](spark, data).collect()}
     assert got == {1, 2, 13, 17, 18, 19, 20}
+
+
+def test_every_case_is_searched(spark, data):
+    from tracelake.studies import cases_search
+
+    assert {r.case_id for r in cases_search(spark, data).select("case_id").distinct().collect()} == set(range(1, 31))
