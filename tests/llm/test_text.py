@@ -182,3 +182,11 @@ def test_a_long_conversation_is_ordered(spark, n):
     assert {t: r.reply_turn for t, r in got.items()} == parent
     order = sorted(range(n), key=lambda t: (-1 if parent[t] is None else parent[t], t))
     assert [got[t].position for t in order] == list(range(1, n + 1))
+
+
+def test_very_long_quote_marks(spark):
+    n = 300_000
+    rows = [(1, 0, "u", "said first"), (1, 1, "u", ">" * n + " said first\nyes"), (1, 2, "u", "> " * n + "said first"), (1, 3, "u", ">" * n), (1, 4, "u", "\n".join(["> said first"] * 5000))]
+    got = {r.turn: r for r in quotes.link(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    assert [got[t].quote_level for t in range(5)] == [0, n, n, n, 1]
+    assert [got[t].reply_turn for t in range(5)] == [None, 0, 0, 2, 0] and got[4].linked_lines == 5000

@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 
 from tracelake.llm import common
 
-_QUOTE = r"^((?:[\x20\t]?>)+)[\x20\t]?"
+# Possessive, as a plain loop over a group recurses once for each sign.
+_QUOTE = r"^((?:[\x20\t]?>)++)[\x20\t]?"
 _SAID = r"(?i)^on .{1,200} wrote:\s*$"
 #: Turns of one conversation that are ranked together.
 SLICE = 64
