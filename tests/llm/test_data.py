@@ -55,17 +55,23 @@ def test_empty_archive(spark):
     assert warc.read(spark, folder).count() == 0
 
 
-def test_ids_are_the_tokenizer_s():
+@pytest.mark.parametrize("added", [True, False])
+def test_ids_are_the_tokenizer_s(added):
     from tokenizers import Tokenizer
 
     reference = Tokenizer.from_file(VOCABULARY)
-    reference.encode_special_tokens = True
+    reference.encode_special_tokens = not added
     rng = random.Random(3)
-    bits = ["'s", "'t", "'re", "'ve", "'ll", "'d", "'", "''", " ", "  ", "\n", "\t", "a", "B", "é", "ß", "1", "²", "!", "...", "_", " the", "中", "😀", "'L", "'sx", "\x00", "\x1f", "\x85", "　", "٣", "<|endoftext|>"]
-    texts = ["".join(rng.choice(bits) for _ in range(rng.randrange(30))) for _ in range(4000)] + ["x" * 50_000, " " * 1000, ""]
-    ids, at = tokens.Pieces(VOCABULARY).encode(texts)
+    bits = ["'s", "'t", "'re", "'ve", "'ll", "'d", "'", "''", " ", "  ", "\n", "\t", "a", "B", "é", "ß", "1", "²", "!", "...", "_", " the", "中", "😀", "'L", "'sx", "\x00", "\x1f", "\x85", "　", "٣", "<|endoftext|>", "<|", "|>"]
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "<|endoftext|><|endoftext|>x", "<|endoftext<|endoftext|>", ""]
+    texts += ["".join(rng.choice(bits) for _ in range(rng.randrange(30))) for _ in range(4000)] + ["x" * 50_000, " " * 1000, ""]
+    pieces = tokens.Pieces(VOCABULARY, added)
+    ids, at = pieces.encode(texts)
     want = [e.ids for e in reference.encode_batch(texts, add_special_tokens=False)]
     assert [ids[a:b].tolist() for a, b in zip(at, at[1:])] == want
+    assert added == (want[0] == [64, 220, 50256, 275])
+    for t, w in zip(texts[:300], want):
+        assert pieces.encode([t])[0].tolist() == w
 
 
 def test_packing(spark):

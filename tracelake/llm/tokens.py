@@ -3,12 +3,15 @@
 The tokenizer splits a text by a fixed pattern and encodes every piece on its
 own. A large batch has far fewer distinct pieces than pieces, so the split runs
 on code-point arrays, pieces are hashed, and only pieces that a worker has not
-met yet go through the tokenizer. Ids are those of the tokenizer.
+met yet go through the tokenizer. Ids are those of the tokenizer: the strings of
+the file's added tokens, where a text holds them, are cut out first and get their
+own ids, as the tokenizer does unless it is told to take them for ordinary text.
 """
 
 from __future__ import annotations
 
 import json
+import re
 from functools import lru_cache
 from pathlib import Path
 
@@ -98,12 +101,20 @@ def _token_bytes(token: str) -> bytes:
 class Pieces:
     """Ids of pieces by hash, filled as they are met."""
 
-    def __init__(self, path: str) -> None:
+    def __init__(self, path: str, added: bool = True) -> None:
+        """``added``: whether the strings of added tokens in a text are these tokens, or ordinary text."""
         import tiktoken
 
         # Same vocabulary, same ids: merges rank as their ids do. This encoder
         # takes single pieces, without the bookkeeping of a whole tokenizer.
-        ranks = {_token_bytes(token): rank for token, rank in json.loads(Path(path).read_text())["model"]["vocab"].items() if not token.startswith("<|")}
+        held = json.loads(Path(path).read_text())
+        own = {t["content"]: t for t in held["added_tokens"]}
+        if held["normalizer"] is not None or any(t["single_word"] or t["lstrip"] or t["rstrip"] for t in own.values()):
+            raise ValueError(f"{path}: normalising and added tokens that take in their neighbours aren't supported")
+        self.added = {content: t["id"] for content, t in own.items()} if added else {}
+        # Of added tokens that begin at one place, the longest is meant.
+        self._cut = re.compile("|".join(map(re.escape, sorted(self.added, key=len, reverse=True)))) if self.added else None
+        ranks = {_token_bytes(token): rank for token, rank in held["model"]["vocab"].items() if token not in own}
         self.encoder = tiktoken.Encoding("pieces", pat_str=r"(?s:.+)", mergeable_ranks=ranks, special_tokens={})
         self._code = np.random.default_rng(5).integers(0, 2**63, 2**16, dtype=U) * U(2) + U(1)
         self._empty()
@@ -126,6 +137,23 @@ class Pieces:
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and the offset of each text's first."""
+        if not self.added or not any(t in text for t in self.added for text in texts):
+            return self._ordinary(texts)
+        # Each text as ordinary parts with an added token between two of them.
+        parts, marks, begin = [], [], [0]
+        for text in texts:
+            found = self._cut.findall(text)
+            parts += self._cut.split(text)
+            marks += [*(self.added[f] for f in found), -1]
+            begin.append(len(parts))
+        ids, at = self._ordinary(parts)
+        mark = np.array(marks)
+        has = mark >= 0
+        out = np.insert(ids, at[1:][has], mark[has].astype(ids.dtype))
+        moved = at + np.concatenate([[0], np.cumsum(has)])
+        return out, moved[begin]
+
+    def _ordinary(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         joined = "".join(texts)
         sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
         starts = np.concatenate([[0], np.cumsum(sizes)])
@@ -151,13 +179,13 @@ class Pieces:
         return ids, np.concatenate([[0], stop])[piece]
 
 
-_made: dict[str, Pieces] = {}
+_made: dict[tuple[str, bool], Pieces] = {}
 
 
-def token_ids(column: pa.Array, path: str):
+def token_ids(column: pa.Array, path: str, added: bool = True):
     """Yields (first row, ids, offsets) for slices of a column of texts; null is empty."""
-    if path not in _made:
-        _made[path] = Pieces(path)
+    if (path, added) not in _made:
+        _made[path, added] = Pieces(path, added)
     sizes = pc.utf8_length(column).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
     for a, b in textvec.slices(sizes):
-        yield a, *_made[path].encode([t or "" for t in column.slice(a, b - a).to_pylist()])
+        yield a, *_made[path, added].encode([t or "" for t in column.slice(a, b - a).to_pylist()])
