@@ -50,8 +50,58 @@ def test_near_copies_from_80_percent(spark):
     assert (minhash.band_rows(85), minhash.band_rows(80)) == (5, 4)
 
 
+@pytest.mark.parametrize("few", [0, 10**9])
+def test_star_rounds_find_the_same(spark, monkeypatch, few):
+    monkeypatch.setattr(minhash, "FEW_PAIRS", few)
+    rounds = []
+    star = minhash._star_round
+    monkeypatch.setattr(minhash, "_star_round", lambda *a: rounds.append(a[-1]) or star(*a))
+    rng = random.Random(8)
+    base = [f"w{rng.randrange(400)}" for _ in range(150)]
+    rows = _documents()[:100]
+    for i in range(400):  # a chain of drifting copies, so that no one centre links them all
+        if i % 20 == 0:
+            base[rng.randrange(150)] = "new"
+        own = list(base)
+        own[rng.randrange(150)] = f"x{i}"
+        rows.append((1000 + i, " ".join(own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(df).collect()}
+    assert got == brute.near_duplicates(rows)
+    assert bool(rounds) == (few == 0)
+
+
+def test_large_group_of_near_copies_costs_few_comparisons(spark, monkeypatch):
+    rng = random.Random(7)
+    base = [f"w{k}" for k in range(200)]
+    rows = []
+    for i in range(1500):
+        own = list(base)
+        own[rng.randrange(200)] = f"x{i}"
+        rows.append((i, " ".join(own)))
+    left = []
+    pairs = minhash._pairs_left
+    monkeypatch.setattr(minhash, "_pairs_left", lambda m: left.append(pairs(m)) or left[-1])
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    assert {r.component_id for r in minhash.near_duplicates(df).collect()} == {0}
+    assert left[0][0] > 1_000_000 and left[-1][0] < 16 * 25 * 1500 / 10
+
+
+def test_one_of_each_keeps_texts_that_share_an_id(spark):
+    a, b, c = "a b c d e f g", "h i j k l m n o", "p q r s t u v"
+    rows = [(3, a), (9, a), (9, b), (3, c), (3, c), (3, c.upper()), (None, a), (7, None), (7, ""), (7, "")]
+    df = spark.createDataFrame([(t, i, 1, k) for k, (i, t) in enumerate(rows)], "text string, doc_id long, t_hash int, held int")
+    kept = minhash.one_of_each(df)
+    assert kept.columns == df.columns
+    got = sorted((-1 if r.doc_id is None else r.doc_id, r.text or "") for r in kept.collect())
+    assert [g for g in got if g[1] not in (c, c.upper())] == [(-1, a), (3, a), (7, ""), (7, ""), (7, ""), (9, b)]
+    assert len([g for g in got if g[1] in (c, c.upper())]) == 1
+    assert minhash.one_of_each(df.limit(0)).count() == 0
+
+
 def test_blocks_of_a_large_bucket(spark, monkeypatch):
     monkeypatch.setattr(minhash, "BLOCK", 8)
+    monkeypatch.setattr(minhash, "FEW_PAIRS", 10**9)
     rows = _documents()[:100]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(df).collect()}
