@@ -27,10 +27,16 @@ ALPHA = 0.01
 REMOVE_AT = 0.95
 GENERALISE_AT = 0.9
 TERM_LENGTH = 3
+#: Elements of an array that are folded together.
+CHUNK = 64
+#: Code points of a block of a text that is cut at many places.
+TEXT_BLOCK = 256
 #: Above this many candidate terms (8 bytes each) they are joined by a shuffle, not broadcast.
 BROADCAST_TERMS = 500_000
 #: Splits marked texts; never part of a pattern.
 _MARK, _SPARE = "\u0001", "\u0002"
+#: A letter of no living word, written over mail addresses where terms are looked for.
+_FILL = "\ua66e"
 
 KINDS = ("email", "ip", "card", "phone")
 # The contract's patterns. A match may begin where the last one ended or where no
@@ -73,18 +79,49 @@ def _valid(kind: str, value: Column) -> Column:
     return size.between(9, 15) if kind == "phone" else size.between(13, 19) & _luhn(value)
 
 
+def _let(value: Column, use) -> Column:
+    """``use`` of a value that is computed once, however often ``use`` names it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _running(values: Column, fold, depth: int = 2) -> Column:
+    """Running folds, from 0, of an array of int: like a window over the array.
+
+    An array that grows by one is copied each time, so it only grows within chunks;
+    the totals of the chunks are folded the same way.
+    """
+
+    def within(chunk, base):
+        step = lambda a, x: F.array_append(a, fold(F.element_at(a, -1), x))
+        return F.aggregate(chunk, F.array(base), step, lambda a: F.slice(a, F.lit(2), F.size(a) - 1))
+
+    zero = F.lit(0)
+    if not depth:
+        return within(values, zero)
+
+    def of_chunks(chunks):
+        totals = F.transform(chunks, lambda c: F.aggregate(c, zero, fold))
+        bases = lambda sums: F.slice(F.concat(F.array(zero), sums), F.lit(1), F.size(chunks))
+        return F.flatten(F.zip_with(chunks, _let(_running(totals, fold, depth - 1), bases), within))
+
+    cut = lambda v: F.transform(F.sequence(zero, ((F.size(v) - 1) / CHUNK).cast("int")), lambda c: F.slice(v, c * CHUNK + 1, F.lit(CHUNK)))
+    return _let(_let(values, cut), of_chunks)
+
+
+def _marked(text: Column, pattern: str) -> Column:
+    """The text cut around the matches of a pattern: every second part is a match."""
+    return F.split(F.regexp_replace(F.translate(text, _MARK, _SPARE), pattern, f"{_MARK}$0{_MARK}"), _MARK)
+
+
 def _spans(text: Column, pattern: str, kind: str, keep) -> Column:
-    """All matches of a pattern with code-point offsets: the text is marked around matches and cut at the marks."""
-    marked = F.regexp_replace(F.translate(text, _MARK, _SPARE), pattern, f"{_MARK}$0{_MARK}")
-    start = F.struct(F.lit(0).alias("at"), F.lit(False).alias("inside"), F.array().cast(_SPAN).alias("found"))
+    """All matches of a pattern with code-point offsets."""
 
-    def step(state, piece):
-        end = state["at"] + F.length(piece)
-        span = F.struct(F.lit(kind).alias("kind"), state["at"].alias("start"), end.alias("end"), piece.alias("value"))
-        found = F.when(state["inside"] & keep(piece), F.concat(state["found"], F.array(span))).otherwise(state["found"])
-        return F.struct(end.alias("at"), (~state["inside"]).alias("inside"), found.alias("found"))
+    def of(parts):
+        ends = _running(F.transform(parts, lambda p: F.length(p)), lambda a, x: a + x)
+        span = lambda p, e: F.struct(F.lit(kind).alias("kind"), (e - F.length(p)).alias("start"), e.alias("end"), p.alias("value"))
+        return F.filter(F.zip_with(parts, ends, span), lambda s, i: (i % 2 == 1) & keep(s["value"]))
 
-    return F.aggregate(F.split(marked, _MARK), start, step, lambda s: s["found"])
+    return _let(_marked(text, pattern), of).cast(_SPAN)
 
 
 def pattern_spans(text: Column) -> Column:
@@ -113,19 +150,25 @@ def _more_than_chance() -> Column:
 
 
 def disclosing(holders: DataFrame, docs: DataFrame) -> DataFrame:
-    """Terms that give an entity away, per text that holds it: text_hash, removed, generalised (arrays of terms).
+    """Terms that give an entity away, in the texts that hold it: text_hash, term, share (of the entity's information).
 
     ``holders`` has text_hash, text and entities of the texts with pattern spans;
     ``docs`` is the whole corpus. Counts are of documents; the evidence for a pair
-    is judged on distinct texts, as copies of a text are no further evidence. A
-    term that already the holders have too often to give an entity away is left
+    is judged on distinct texts, as copies of a text are no further evidence.
+    Entities that the same texts hold have the same counts with every term, so they
+    are one *class*: a list of many addresses costs as much as one of them. A term that
+    already the holders have too often to give a class away is left
     out before pairs are made; the others are counted over the corpus.
     """
     texts = holders.select("text_hash", "entities", _terms(F.col("text")).alias("terms")).groupBy("text_hash")
     texts = common.written(texts.agg(F.count(F.lit(1)).alias("rows"), F.first("entities").alias("entities"), F.first("terms").alias("terms")), "pii-texts")
     held = texts.select("text_hash", "rows", F.explode("entities").alias("entity"))
-    every = held.groupBy("entity").agg(F.sum("rows").alias("of_entity"), F.count(F.lit(1)).alias("entity_texts"))
-    held = common.written(held.join(every, "entity"), "pii-entities")
+    every = held.groupBy("entity").agg(
+        F.sum("rows").alias("of_entity"), F.count(F.lit(1)).alias("entity_texts"),
+        # Told by two hashes of the set of texts; the exclusive or of hashes is that of a set.
+        F.struct(F.bit_xor(F.xxhash64("text_hash")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "text_hash")).alias("y")).alias("class"),
+    )
+    held = common.written(held.join(every, "entity").drop("entity").distinct(), "pii-entities")
     total = docs.agg(F.count(F.lit(1)).alias("total"), F.count_distinct(F.xxhash64("text")).alias("all_texts"))
     total = F.broadcast(common.written(total, "pii-total"))  # one row
     seen = texts.select("text_hash", "rows", F.explode("terms").alias("term"))
@@ -134,7 +177,7 @@ def disclosing(holders: DataFrame, docs: DataFrame) -> DataFrame:
     # share >= s means of_term <= of_both * (total / of_entity) ** (1 - s), and of_both is at most of_entity.
     most = F.pow(F.col("total").cast("double"), 1 - GENERALISE_AT) * F.pow(F.col("of_entity").cast("double"), GENERALISE_AT)
     both = held.join(seen, "text_hash").crossJoin(total).where(F.col("least") <= most * (1 + 1e-9))
-    both = both.groupBy("entity", "of_entity", "entity_texts", "term").agg(F.sum("rows").alias("of_both"), F.count(F.lit(1)).alias("both_texts"))
+    both = both.groupBy("class", "of_entity", "entity_texts", "term").agg(F.sum("rows").alias("of_both"), F.count(F.lit(1)).alias("both_texts"))
     both = common.written(both, "pii-pairs")
     wanted = common.written(both.select(F.xxhash64("term").alias("wanted")).distinct(), "pii-terms")
     # A row names a term once, so counts need no look at which rows they come from.
@@ -146,38 +189,64 @@ def disclosing(holders: DataFrame, docs: DataFrame) -> DataFrame:
     content = F.log(F.col("total") / F.col("of_entity"))
     told = F.log(F.col("of_both") * F.col("total") / (F.col("of_entity") * F.col("of_term")))
     share = F.when(content > 0, told / content)
-    known = known.where(_more_than_chance()).select("entity", "term", share.alias("share")).where(F.col("share") >= GENERALISE_AT)
-    per_text = held.join(common.written(known, "pii-disclosing"), "entity").groupBy("text_hash", "term").agg(F.max("share").alias("share"))
-    return per_text.groupBy("text_hash").agg(
-        F.collect_list(F.when(F.col("share") >= REMOVE_AT, F.col("term"))).alias("removed"),
-        F.collect_list(F.when(F.col("share") < REMOVE_AT, F.col("term"))).alias("generalised"),
-    )
+    known = known.where(_more_than_chance()).select("class", "term", share.alias("share")).where(F.col("share") >= GENERALISE_AT)
+    return held.join(common.written(known, "pii-disclosing"), "class").groupBy("text_hash", "term").agg(F.max("share").alias("share"))
 
 
-def _term_spans(text: Column, removed: Column, generalised: Column, base: Column) -> Column:
-    """Spans of the disclosing terms that don't touch a pattern span."""
+def _words(text: Column) -> Column:
+    """Spans of the runs of letters that could be terms; one that a mail address has letters of is none."""
+    covered = F.transform(_marked(text, _PATTERNS["email"]), lambda p, i: F.when(i % 2 == 1, F.repeat(F.lit(_FILL), F.length(p))).otherwise(p))
+    return _spans(F.array_join(covered, ""), rf"\p{{L}}{{{TERM_LENGTH},}}+", "", lambda v: F.lit(True))
 
-    def hit(word):
-        return F.array_contains(removed, F.lower(word)) | F.array_contains(generalised, F.lower(word))
 
-    found = _spans(text, rf"\p{{L}}{{{TERM_LENGTH},}}+", "removed", hit)
-    apart = F.filter(found, lambda s: ~F.exists(base, lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"])))
-    kind = lambda s: F.when(F.array_contains(removed, F.lower(s["value"])), F.lit("removed")).otherwise(F.lit("generalised"))
-    return F.transform(apart, lambda s: F.struct(kind(s).alias("kind"), s["start"].alias("start"), s["end"].alias("end"), s["value"].alias("value")))
+def _term_spans(holders: DataFrame, terms: DataFrame) -> DataFrame:
+    """Per text that holds any of its ``terms``: text_hash, removed and generalised (spans by start).
+
+    The other patterns have no letters, so only mail addresses can overlap with a term.
+    """
+    texts = holders.join(terms.select(F.col("text_hash").alias("s_hash")).distinct(), F.col("text_hash") == F.col("s_hash"), "left_semi")
+    texts = texts.groupBy("text_hash").agg(F.first("text").alias("text"))
+    words = texts.select(F.col("text_hash").alias("w_hash"), F.explode(_words(F.col("text"))).alias("w"))
+    found = words.join(terms, (F.col("w_hash") == F.col("text_hash")) & (F.lower("w.value") == F.col("term")))
+
+    def of(kind, which):
+        span = F.struct(F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.col("w.value").alias("value"))
+        mine = F.sort_array(F.collect_list(F.when(which, span)))
+        return F.transform(mine, lambda s: F.struct(F.lit(kind).alias("kind"), s["start"].alias("start"), s["end"].alias("end"), s["value"].alias("value"))).cast(_SPAN)
+
+    return found.groupBy("text_hash").agg(
+        of("removed", F.col("share") >= REMOVE_AT).alias("removed"), of("generalised", F.col("share") < REMOVE_AT).alias("generalised")
+    )
 
 
 def _sanitised(text: Column, spans: Column) -> Column:
     """The text with every span replaced; of spans that overlap, the first to begin counts and is made longer."""
     labels = F.create_map(*[F.lit(x) for k in KINDS for x in (k, f"[{k.upper()}]")], F.lit("removed"), F.lit(""), F.lit("generalised"), F.lit("[TERM]"))
     order = F.sort_array(F.transform(spans, lambda s: F.struct(s["start"].alias("start"), (-s["end"]).alias("neg"), s["kind"].alias("kind"))))
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    size = F.lit(TEXT_BLOCK)
+
+    def between(blocks, begin, end):
+        """A part of the text. Blocks, as finding a place in a text means to walk to it."""
+        first, last = (begin / size).cast("int"), ((end - 1) / size).cast("int")
+
+        def part(block, i):
+            at = (first + i) * size
+            low = F.greatest(begin - at, F.lit(0))
+            return F.substring(block, low + 1, F.least(end - at, size) - low)
 
-    def step(state, s):
-        new = s["start"] >= state["at"]
-        out = F.when(new, F.concat(state["out"], F.substring(text, state["at"] + 1, s["start"] - state["at"]), labels[s["kind"]])).otherwise(state["out"])
-        return F.struct(F.greatest(state["at"], -s["neg"]).alias("at"), out.alias("out"))
+        return F.when(end > begin, F.array_join(F.transform(F.slice(blocks, first + 1, last - first + 1), part), "")).otherwise("")
 
-    return F.aggregate(order, start, step, lambda a: F.concat(a["out"], F.substring(text, a["at"] + 1, F.length(text) - a["at"])))
+    def put(blocks, ordered, reach):
+        before = F.slice(F.concat(F.array(F.lit(0)), reach), F.lit(1), F.size(ordered))
+        cuts = F.zip_with(ordered, before, lambda s, b: F.struct(s["start"].alias("start"), b.alias("begin"), s["kind"].alias("kind")))
+        cuts = F.filter(cuts, lambda c: c["start"] >= c["begin"])
+        parts = F.transform(cuts, lambda c: F.concat(between(blocks, c["begin"], c["start"]), labels[c["kind"]]))
+        return F.array_join(F.concat(parts, F.array(between(blocks, F.element_at(reach, -1), F.length(text)))), "")
+
+    ends = lambda o: _running(F.transform(o, lambda s: -s["neg"]), lambda a, x: F.greatest(a, x))
+    all_blocks = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{TEXT_BLOCK}}}"), F.lit(0))
+    made = _let(all_blocks, lambda blocks: _let(order, lambda o: _let(ends(o), lambda reach: put(blocks, o, reach))))
+    return F.when(F.size(spans) > 0, made).otherwise(text)
 
 
 def annotate(docs: DataFrame, spans: str = "spans", clean: str = "clean_text") -> DataFrame:
@@ -196,13 +265,13 @@ def annotate(docs: DataFrame, spans: str = "spans", clean: str = "clean_text") -
     plain = plain.select(*names, F.array().cast(_SPAN).alias(spans), F.col("text").alias(clean))
     hit = common.written(scanned.where(F.size(base) > 0).withColumn(text_hash, F.xxhash64("text")), "pii-hit")
     entity = F.array_distinct(F.transform(base, lambda s: F.xxhash64(s["kind"], F.lower(s["value"]))))
-    terms = disclosing(hit.select(F.col(text_hash).alias("text_hash"), "text", entity.alias("entities")), docs.select("text").where("text is not null"))
-    terms = terms.select(F.col("text_hash").alias(known), F.col("removed").alias(removed), F.col("generalised").alias(generalised))
-    hit = hit.join(terms, F.col(text_hash) == F.col(known), "left")
-    more = F.when(F.col(known).isNotNull(), _term_spans(F.col("text"), F.col(removed), F.col(generalised), F.col(base))).otherwise(F.array().cast(_SPAN))
-    every = F.concat(F.col(base), F.filter(more, lambda s: s["kind"] == "removed"), F.filter(more, lambda s: s["kind"] == "generalised"))
-    hit = hit.withColumn(removed, every)
-    hit = hit.select(*names, F.col(removed).alias(spans), _sanitised(F.col("text"), F.col(removed)).alias(clean))
+    holders = hit.select(F.col(text_hash).alias("text_hash"), "text", entity.alias("entities"))
+    terms = common.written(disclosing(holders, docs.select("text").where("text is not null")), "pii-told")
+    found = common.written(_term_spans(holders.select("text_hash", "text"), terms), "pii-spans").toDF(known, removed, generalised)
+    hit = hit.join(found, F.col(text_hash) == F.col(known), "left")
+    none = F.array().cast(_SPAN)
+    hit = hit.withColumn(base, F.concat(F.col(base), F.coalesce(F.col(removed), none), F.coalesce(F.col(generalised), none)))
+    hit = hit.select(*names, F.col(base).alias(spans), _sanitised(F.col("text"), F.col(base)).alias(clean))
     return plain.unionByName(hit)
 
 
