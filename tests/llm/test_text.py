@@ -58,6 +58,16 @@ def test_language(spark):
     assert {r.lang_pred for r in nothing} == {"und"}
 
 
+def test_every_language_is_learned_or_refused(spark, monkeypatch):
+    rng = random.Random(3)
+    rows = [(i, _speech(rng, "xx", 5), f"l{i % 7}") for i in range(70)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert langid.train(df).languages == [f"l{k}" for k in range(7)]
+    monkeypatch.setattr(langid, "MOST_WEIGHTS", 5 * langid.DIMENSIONS)
+    with pytest.raises(ValueError, match="more than 5 different"):
+        langid.train(df)
+
+
 def test_prediction_doesn_t_depend_on_the_batch():
     texts = ["abc def", "", "ghi", "ÄÖ ü"]
     whole, at, letters = langid.features(texts)

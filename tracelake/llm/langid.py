@@ -27,8 +27,8 @@ from tracelake.llm.textvec import U
 N = 3
 DIMENSIONS = 2**16
 SAMPLE = 1500
-#: Languages beyond this many (by number of documents) are not learned.
-MOST_LANGUAGES = 400
+#: Every language that occurs is learned; a model of more weights than this (4,096 languages) raises.
+MOST_WEIGHTS = 2**28
 UNKNOWN = "und"
 _EDGE = 0
 _SPREAD = np.random.default_rng(11).integers(0, 2**63, (N, 2**16), dtype=U) * U(2) + U(1)
@@ -189,17 +189,19 @@ def calibrate(logits: np.ndarray, labels: np.ndarray) -> float:
 def train(docs: DataFrame, sample: int = SAMPLE) -> Model:
     """Learns from the text and the language of ``docs`` (columns doc_id, text, lang; null lang is left out)."""
     docs = docs.where("lang is not null")
-    sizes = {r["lang"]: r["count"] for r in docs.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect()}
+    most = MOST_WEIGHTS // DIMENSIONS
+    sizes = {r["lang"]: r["count"] for r in docs.groupBy("lang").count().limit(most + 1).collect()}
+    if len(sizes) > most:
+        raise ValueError(f"more than {most} different values of lang: none is left out silently; clean the labels or raise MOST_WEIGHTS")
     languages = sorted(sizes)
     if not languages:
         return Model([], np.zeros((DIMENSIONS, 0)), np.zeros(0), 1.0)
     df, total = document_frequencies(docs)
     idf = np.log((1.0 + total) / (1.0 + df)) + 1.0
     draw = F.shiftrightunsigned(F.xxhash64("doc_id", "text"), 33) / F.lit(float(2**31))
-    share = F.lit(0.0)
-    for lang in languages:
-        share = F.when(F.col("lang") == lang, F.lit(min(1.0, sample / sizes[lang]))).otherwise(share)
-    chosen = docs.withColumn("draw", draw).where(F.col("draw") < share).select("lang", "text", "draw")
+    shares = docs.sparkSession.createDataFrame([(lang, min(1.0, sample / sizes[lang])) for lang in languages], "s_lang string, share double")
+    chosen = docs.withColumn("draw", draw).join(F.broadcast(shares), F.col("lang") == F.col("s_lang"))
+    chosen = chosen.where("draw < share").select("lang", "text", "draw")
 
     def vectors(batches):
         for batch in batches:
@@ -282,7 +284,13 @@ def identify(docs: DataFrame, sample: int = SAMPLE) -> DataFrame:
 
 
 def accepted(docs: DataFrame, least: float = 0.3, sample: int = SAMPLE) -> DataFrame:
-    """The rows of ``docs`` whose language is recognised with a score of at least ``least``; columns as they were."""
+    """The rows of ``docs`` whose language is recognised with a score of at least ``least``; columns as they were.
+
+    Needs doc_id, text and lang; columns that have the helpers' names stay as they are. A
+    text that is null, empty or without a letter is not recognised; without any lang to
+    learn from no row is. Rows that repeat each other are judged alike. An empty
+    table gives an empty result.
+    """
     learned = train(docs.where(~held_out(F.col("doc_id"))).select("doc_id", "text", "lang"), sample)
     p_lang, p_score = common.fresh(docs, "p_lang", "p_score")
     found = predict(docs, learned, p_lang, p_score)
