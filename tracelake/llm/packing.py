@@ -29,6 +29,8 @@ def pieces(docs: DataFrame, vocabulary: str, window: int = WINDOW, keep_ids: boo
 
     A document is the ids of its text (null: none) followed by id 0. Documents
     longer than ``window`` are cut so that only the first piece may be shorter.
+    Rows that repeat each other, or have no doc_id, are documents of their own; other
+    columns are left out. An empty table gives an empty result.
     """
     fields = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint" + ", ids array<int>" * keep_ids
 
@@ -254,14 +256,14 @@ def pack(parts: DataFrame, window: int = WINDOW) -> DataFrame:
     """Adds sequence_id and offset to rows that have doc_id, piece and length.
 
     Every row gets a place; the places of a sequence follow each other without a
-    gap. Rows are ranked within their length by (hash, doc_id, piece); the rank
+    gap. Rows are ranked within their length by (hash of all columns, doc_id, piece); the rank
     is a rank within a slice of the length plus the counts of the slices before,
     so a length that a third of all rows have is no hot spot; the more rows, the
     more slices. An empty table gives an empty result.
     """
     names = parts.columns
     key, piece_of, rank, ahead = common.fresh(parts, "k_hash", "k_slice", "k_rank", "k_ahead")
-    rows = parts.withColumn(key, F.xxhash64("doc_id", "piece"))
+    rows = parts.withColumn(key, F.xxhash64(*names))
     bits = common.slice_bits(parts.count())
     rows = rows.withColumn(piece_of, F.shiftrightunsigned(F.col(key), 64 - bits).cast("int"))
     counts = rows.groupBy("length", piece_of).count()
@@ -320,7 +322,10 @@ def packed(docs: DataFrame, vocabulary: str, window: int = WINDOW, keep_ids: boo
     """All pieces of ``docs`` with their sequences; needs doc_id and text.
 
     ``vocabulary`` is the path of a tokenizer file. With ``keep_ids`` the ids
-    come along; else only their checksum does, which keeps shuffles small.
+    come along; else only their checksum does, which keeps shuffles small. A null or
+    empty text is one piece, of id 0. Rows without doc_id and rows that repeat each other
+    are packed each; other columns, whatever their names, are left out.
+    An empty table gives an empty result.
     """
     parts = common.written(pieces(docs, vocabulary, window, keep_ids), "pack-pieces")
     return pack(parts, window)
