@@ -176,6 +176,51 @@ def test_mixing(spark):
     assert all(many[r.doc_id] == r.taken // r.size for r in got if r.size and r.doc_id not in (9003,))
 
 
+def test_the_mix_follows_the_fair_queue(spark):
+    """The order of virtual finish times, worked off one document at a time."""
+    rng = random.Random(12)
+    rows = [(k, "w " * rng.randrange(40), rng.choice(["a", "a", "b", "c", None])) for k in range(400)] + [(900, "w " * 7, "a")] * 40
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    keys = {(r.doc_id, r.size): r.h for r in df.selectExpr("doc_id", "cast(size(filter(split(text, ' '), x -> x <> '')) as bigint) as size").selectExpr("*", "xxhash64(17, doc_id, size) as h").collect()}
+    sizes = Counter()
+    for _, t, s in rows:
+        sizes[s] += len(t.split())
+    target = _targets(sizes)
+    queue = []
+    for source in sizes:
+        own = sorted((keys[i, len(t.split())] % 2**64, i, len(t.split())) for i, t, s in rows if s == source)
+        done = 0
+        for h, i, n in own:
+            done += n
+            for epoch in range(2):
+                finish = (done + epoch * sizes[source]) / target[source]
+                queue.append((finish, source or "\U0010ffff", h - 2**64 * (h >= 2**63), i, n, epoch))
+    want, spent, budget = Counter(), 0, 1.5 * sum(sizes.values())
+    over = False
+    for finish, _, _, i, n, _ in sorted(queue):
+        over = over or spent + n > budget
+        if not over:
+            spent += n
+            want[i] += n
+    got = Counter()
+    for r in mixing.taken(df).collect():
+        got[r.doc_id] += r.taken
+    assert {i: n for i, n in got.items() if n} == {i: n for i, n in want.items() if n}
+
+
+def test_rows_that_repeat_are_mixed_as_often_as_decided(spark):
+    rows = [(1, "a b c", "s", k % 3) for k in range(40)] + [(2, "a b c", "s", 7)] * 41 + [(3, "x y", "t", 0)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, words int")
+    for budget in (0.35, 0.5, 0.77, 1.13, 1.5):
+        decided = Counter()
+        for r in mixing.mix(df, budget=budget).collect():
+            decided[r.doc_id] += r.copies
+        made = mixing.mixed(df, budget=budget)
+        assert made.columns == df.columns
+        got = Counter(r.doc_id for r in made.collect())
+        assert got == Counter({i: n for i, n in decided.items() if n})
+
+
 def test_an_empty_corpus_mixes_to_nothing(spark):
     df = spark.createDataFrame([(1, None, "a"), (2, "", None)], "doc_id long, text string, source string")
     assert [(r.size, r.target, r.taken) for r in mixing.taken(df).collect()] == [(0, 0.0, 0), (0, 0.0, 0)]

@@ -157,12 +157,30 @@ def taken(docs: DataFrame, **options) -> DataFrame:
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """The documents of the mix: each row as often as it is taken, with the columns of ``docs``.
 
-    Rows that share doc_id, source and size are taken equally often, rounded up.
+    Needs doc_id, text and source. Rows that share doc_id, source and size stand next to each other in
+    their queue, so only those at whose place the budget ends are taken unequally often:
+    the extra copies go to the first of them by the hash of all their columns. All
+    together are as many as :func:`mix` takes. An empty table gives an empty result.
     """
-    k_id, k_source, k_size, k_copies, words = common.fresh(docs, "k_id", "k_source", "k_size", "k_copies", "words")
-    counts = mix(docs, **options).groupBy(
-        F.col("doc_id").alias(k_id), F.col("source").alias(k_source), F.col("size").alias(k_size)
-    ).agg(F.ceil(F.avg("copies")).cast("int").alias(k_copies))
+    k_id, k_source, k_size, k_all, k_rows, words, copies, turn, nth, ahead = common.fresh(docs, "k_id", "k_source", "k_size", "k_all", "k_rows", "words", "copies", "turn", "nth", "ahead")
+    counts = mix(docs, **options).groupBy(F.col("doc_id").alias(k_id), F.col("source").alias(k_source), F.col("size").alias(k_size)).agg(
+        F.sum("copies").alias(k_all), F.count(F.lit(1)).alias(k_rows)
+    )
+    counts = common.written(counts.where(F.col(k_all) > 0), "mix-copies")
     same = F.col("doc_id").eqNullSafe(F.col(k_id)) & F.col("source").eqNullSafe(F.col(k_source)) & (F.col(words) == F.col(k_size))
-    held = docs.withColumn(words, common.word_count(F.col("text"))).join(counts.where(F.col(k_copies) > 0), same)
-    return held.withColumn(words, F.explode(F.sequence(F.lit(1), F.col(k_copies)))).select(*docs.columns)
+    rows = docs.withColumn(words, common.word_count(F.col("text")))
+    even = F.col(k_all) % F.col(k_rows) == 0
+    held = rows.join(counts.where(even), same).withColumn(copies, (F.col(k_all) / F.col(k_rows)).cast("int"))
+    out = held.withColumn(words, F.explode(F.sequence(F.lit(1), F.col(copies)))).select(*docs.columns)
+    uneven = counts.where(~even)
+    if uneven.isEmpty():  # at most one key of each source and epoch
+        return out
+    # Rows that are alike in all columns are counted, so no task holds a key's rows however many they are.
+    alike = rows.join(F.broadcast(uneven), same).groupBy(*docs.columns, k_id, k_source, k_size, k_all, k_rows).agg(F.count(F.lit(1)).alias(nth))
+    alike = alike.withColumn(turn, F.xxhash64(*docs.columns))
+    before = Window.partitionBy(k_id, k_source, k_size).orderBy(turn, *docs.columns).rowsBetween(Window.unboundedPreceding, -1)
+    alike = alike.withColumn(ahead, F.coalesce(F.sum(nth).over(before), F.lit(0)))
+    each, extra = F.floor(F.col(k_all) / F.col(k_rows)), F.col(k_all) % F.col(k_rows)
+    more = F.least(F.greatest(extra - F.col(ahead), F.lit(0)), F.col(nth))
+    alike = alike.withColumn(copies, (each * F.col(nth) + more).cast("int")).where(F.col(copies) > 0)
+    return out.unionByName(alike.withColumn(words, F.explode(F.sequence(F.lit(1), F.col(copies)))).select(*docs.columns))
