@@ -85,6 +85,12 @@ def with_events(body: str, *more: str, recursive: bool = False) -> str:
     return f"WITH {'RECURSIVE ' * recursive}{', '.join([EVENTS, *more])} {body}"
 
 
+def with_stored(body: str, *more: str, recursive: bool = False) -> str:
+    """:func:`with_events` and entities, each worked out once."""
+    stored = [part.replace("\n    ev AS (", "\n    ev AS MATERIALIZED (").replace("\n    ent AS (", "\n    ent AS MATERIALIZED (") for part in (EVENTS, ENTITIES)]
+    return f"WITH {'RECURSIVE ' * recursive}{', '.join([*stored, *more])} {body}"
+
+
 def closure(poi: str, direction: str = "back", events: str = "ev", usable: str = "ev", hops: int | None = None, name: str = "r") -> str:
     """CTE ``name`` with event_id (and hop, if limited) of the trace of the events that meet ``poi``."""
     keep = ("event_id", "src_id", "end_us") if direction == "back" else ("event_id", "dst_id", "start_us")

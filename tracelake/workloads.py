@@ -15,7 +15,7 @@ from tracelake.lang.tree import Compare, Not
 from tracelake.model import oracle, views
 from tracelake.model.store import TraceStore, quality
 from tracelake.search import search
-from tracelake.search.run import monolithic_sql, motif_join, run_monolithic
+from tracelake.search.run import joined_sql, motif_join, run_monolithic
 from tracelake.session import condition
 from tracelake.track import EdgeFilter, Limits, NodeFilter, Seed, track_back, track_forward, track_many
 from tracelake.track.baselines import run_track_sql, track_paths, track_script
@@ -150,7 +150,7 @@ def _find(name: str, spark, sf_dir, **options) -> DataFrame:
 
 for _name in FINDS:
     QUERIES[_name] = partial(_find, _name)
-    ORACLE_SQL[_name] = oracle.with_events(monolithic_sql(finding(_name)), oracle.ENTITIES)
+    ORACLE_SQL[_name] = oracle.with_stored(joined_sql(finding(_name)))
 
 for _key, _options in {
     "search_lazy": {"eager": False}, "search_text_order": {"mode": "text"}, "search_stats_order": {"mode": "stats"}, "search_too_broad": {"too_broad": 10},
