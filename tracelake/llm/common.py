@@ -32,6 +32,21 @@ def new_folder(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/tracelake/{name}-{uuid.uuid4().hex}"
 
 
+#: Rows and bytes of an Arrow batch, where the session doesn't say.
+BATCH = {"spark.sql.execution.arrow.maxRecordsPerBatch": "1000", "spark.sql.execution.arrow.maxBytesPerBatch": "16m"}
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Bounds Arrow batches of this session, unless it has bounds of its own.
+
+    Both the executor and its Python workers hold whole batches; the usual
+    10,000 rows of long texts are hundreds of MB.
+    """
+    for key, value in BATCH.items():
+        if spark.conf.get(key, None) is None:
+            spark.conf.set(key, value)
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """``df`` written once to the shared folder and read back.
 
@@ -39,6 +54,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
     from files that every executor can read.
     """
     spark = df.sparkSession
+    small_batches(spark)
     path = new_folder(spark, name)
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)

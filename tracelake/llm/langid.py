@@ -188,6 +188,7 @@ def calibrate(logits: np.ndarray, labels: np.ndarray) -> float:
 
 def train(docs: DataFrame, sample: int = SAMPLE) -> Model:
     """Learns from the text and the language of ``docs`` (columns doc_id, text, lang; null lang is left out)."""
+    common.small_batches(docs.sparkSession)
     docs = docs.where("lang is not null")
     most = MOST_WEIGHTS // DIMENSIONS
     sizes = {r["lang"]: r["count"] for r in docs.groupBy("lang").count().limit(most + 1).collect()}
@@ -247,6 +248,7 @@ def predict(docs: DataFrame, model: Model, lang_name: str = "lang_pred", score_n
     A text that is null or has no letter, and every text if nothing was learned,
     gets ``und`` and score 0.
     """
+    common.small_batches(docs.sparkSession)
     names = docs.columns
     text = docs.columns.index("text")
 

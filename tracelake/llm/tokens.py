@@ -23,7 +23,7 @@ from tracelake.llm import textvec
 from tracelake.llm.textvec import U
 
 #: A piece store that has grown beyond this many pieces is begun anew.
-MOST_PIECES = 2_000_000
+MOST_PIECES = 500_000
 _OTHER, _LETTER, _DIGIT, _SPACE = 0, 1, 2, 3
 
 
