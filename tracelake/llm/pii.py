@@ -207,6 +207,9 @@ def _term_spans(holders: DataFrame, terms: DataFrame) -> DataFrame:
     texts = holders.join(terms.select(F.col("text_hash").alias("s_hash")).distinct(), F.col("text_hash") == F.col("s_hash"), "left_semi")
     texts = texts.groupBy("text_hash").agg(F.first("text").alias("text"))
     words = texts.select(F.col("text_hash").alias("w_hash"), F.explode(_words(F.col("text"))).alias("w"))
+    told = common.written(terms.select(F.xxhash64("term").alias("told")).distinct(), "pii-told-terms")
+    if told.count() <= BROADCAST_TERMS:  # common words are no term of any text and need not be moved
+        words = words.join(F.broadcast(told), F.xxhash64(F.lower("w.value")) == F.col("told"), "left_semi")
     found = words.join(terms, (F.col("w_hash") == F.col("text_hash")) & (F.lower("w.value") == F.col("term")))
 
     def of(kind, which):
