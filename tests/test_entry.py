@@ -37,6 +37,12 @@ def test_query_is_its_sql(spark, data, name):
     assert sorted((tuple(r) for r in df.select(*cols).collect()), key=key) == sorted(want, key=key)
 
 
+def test_a_package_that_the_training_data_operators_lack(tmp_path):
+    (tmp_path / "public_tokenizers.py").write_text("raise ImportError('not here')")
+    code = "import __spark_entry__ as e; q = e.queries(); e.oracle_sql(); assert 'pipeline' not in q and 'op1_cover_tree' not in q and len(q) > 80"
+    subprocess.run([sys.executable, "-c", code], cwd=ROOT, check=True, env={**os.environ, "PYTHONPATH": f"{tmp_path}:{ROOT}"})
+
+
 def test_without_the_training_data_operators(tmp_path):
     for p in ROOT.iterdir():
         if p.name not in ("tests", ".git", "corpus_pipeline.py", "tracelake"):
