@@ -1,7 +1,9 @@
 """Thirty planted cases in five families, on top of the events of the given tables.
 
 Truth rows are a case's own events; weave rows tie its processes to background
-files, so that plain tracing runs into everything else. All numbers follow from
+files, so that plain tracing runs into everything else. Other weave rows are of
+a kind that no program names: an updater writes shared libraries that the case's
+processes load. All numbers follow from
 the case number; nothing is random. The programs are written by hand for each
 family, as an investigator would: they show what the language can do and are no
 automatic detection.
@@ -137,6 +139,14 @@ def rows(case: int) -> list[Row]:
             else:
                 out.append(Row(case, step, 0, False, "write", host, x, "", k, at + 30_000_000 + (j + 1) * _MINUTE))
             step += 1
+    step = 500
+    for nth, (x, at) in enumerate(seen.items()):
+        if nth % 2 == 0:
+            host = x.split(":")[1]
+            library, updater = f"f:{host}:/usr/lib/{case}/shared{nth}", f"p:{host}:updater:{9_000_000 + case}"
+            out.append(Row(case, step, 0, False, "write", host, updater, library, -1, at - 10 * _MINUTE))
+            out.append(Row(case, step + 1, 0, False, "read", host, library, x, -1, at - 5_000_000))
+            step += 2
     return out
 
 
@@ -199,8 +209,20 @@ def planted_sql(which=range(1, 31)) -> str:
     t_plant(event_id, case_id, stage, is_truth, op, host, source, sink, k, start_us) AS (VALUES {values}),
     planted AS (SELECT p.event_id, case_id, stage, is_truth, op, p.host, coalesce(source, 'f:' || p.host || ':' || f.path) AS src_id, coalesce(sink, 'f:' || p.host || ':' || f.path) AS dst_id,
                        start_us, start_us + 20000000 AS end_us, f.path AS wpath FROM t_plant p LEFT JOIN t_files f ON f.k = p.k),
-    pev AS (SELECT event_id, host, src_id, dst_id, start_us, end_us, false AS is_truth, CAST(NULL AS BIGINT) AS plant_case FROM ev
-            UNION ALL SELECT event_id, host, src_id, dst_id, start_us, end_us, is_truth, case_id FROM planted)"""
+    pev AS (SELECT event_id, host, op, src_id, dst_id, start_us, end_us, false AS is_truth, CAST(NULL AS BIGINT) AS plant_case FROM ev
+            UNION ALL SELECT event_id, host, op, src_id, dst_id, start_us, end_us, is_truth, case_id FROM planted)"""
+
+
+def entities_sql(which=range(1, 31)) -> str:
+    """CTE ``pent``: the entities of the given tables and the planted ones, with the attributes that searches name."""
+    keys = sorted({k for c in which for r in rows(c) for k in (r.source, r.sink) if k})
+    q = lambda x: "NULL" if x is None else str(x) if isinstance(x, int) else f"'{x}'"
+    values = ", ".join(f"({', '.join(q(_entity(k)[i]) for i in (0, 1, 3, 8, 9))})" for k in keys)
+    return f"""
+    t_pent(entity_id, kind, name, pid, src_ip) AS (VALUES {values}),
+    pent AS MATERIALIZED (
+        SELECT entity_id, kind, name, CAST(pid AS BIGINT) AS pid, src_ip FROM ent UNION SELECT entity_id, kind, name, CAST(pid AS BIGINT), src_ip FROM t_pent
+        UNION SELECT 'f:' || p.host || ':' || f.path, 'file', f.file_name, NULL, NULL FROM t_plant p JOIN t_files f ON f.k = p.k)"""
 
 
 def program(case: int) -> str:

@@ -3,18 +3,19 @@
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tracelake import plans
 from tracelake.graph import TraceGraph
 from tracelake.lang import analyze, parse, text_of
 from tracelake.lang.analyze import sql_of
-from tracelake.lang.tree import Combine, Find, Show, Trace
+from tracelake.lang.tree import Combine, Find, SeedText, Show, Trace
 from tracelake.search import search
 from tracelake.search.schedule import groups, prune_score, schedule
-from tracelake.track import EdgeFilter, Limits, NodeFilter, Seed, track
+from tracelake.track import EdgeFilter, Limits, NodeFilter, Seed, track_many
 
 
 @dataclass
@@ -107,13 +108,52 @@ class Session:
             made = self._graph(s.expression)
         return self.catalog.bind(s.target, made) if s.target else made
 
-    def trace(self, s: Trace) -> TraceGraph:
-        seed = {
-            "variable": lambda: Seed.graph(self.catalog[s.seed.value]), "text": lambda: Seed.text(s.seed.value),
-            "entity": lambda: Seed.entities(condition(s.seed.value, "entity")), "event": lambda: Seed.events(condition(s.seed.value, "event")),
-        }[s.seed.kind]()
+    def run_batch(self, programs: dict[int, str]) -> dict[str, DataFrame]:
+        """Runs programs of tracing and combining, one for each case, together: per variable (case_id, event_id).
+
+        Statements that differ in their seed only are one pass over the store for all cases.
+        """
+        alike: dict[tuple, list] = {}
+        texts = {case: parse(text) for case, text in programs.items()}
+        for case, statements in texts.items():
+            analyze(statements, set(), programs[case])
+            alike.setdefault(tuple(text_of(replace(s, seed=SeedText("text", "")) if isinstance(s, Trace) else s) for s in statements), []).append(case)
+        out: dict[str, DataFrame] = {}
+        for cases in alike.values():
+            own: dict[str, DataFrame] = {}
+            for nth, s in enumerate(texts[cases[0]]):
+                if isinstance(s, Combine):
+                    made = self._pairs(s.expression, own)
+                elif isinstance(s, Trace) and not s.source.variable and s.seed.kind != "variable":
+                    seeds = [replace(self._seed(texts[c][nth]), case_id=c) for c in cases]
+                    made = plans.pin(self._many(seeds, s).select("case_id", "event_id").distinct(), "batch")
+                else:
+                    raise ValueError(f"only traces of the store and combinations run in a batch: {text_of(s)}")
+                own[s.target] = made
+            for name, made in own.items():
+                out[name] = made if name not in out else out[name].unionByName(made)
+        return out
+
+    def _pairs(self, e, own: dict[str, DataFrame]) -> DataFrame:
+        if isinstance(e, str):
+            return own[e]
+        a, b = self._pairs(e[1], own), self._pairs(e[2], own)
+        return {"UNION": lambda: a.unionByName(b).distinct(), "INTERSECT": lambda: a.intersect(b), "MINUS": lambda: a.subtract(b)}[e[0]]()
+
+    def _many(self, seeds: list[Seed], s: Trace) -> DataFrame:
+        """The traces of all seeds as a statement says."""
         nodes = NodeFilter(condition(s.keep_nodes, "entity"), condition(s.drop_nodes, "entity"))
         edges = EdgeFilter(condition(s.keep_edges, "event"), condition(s.drop_edges, "event"))
         limits = Limits(s.max_hops, s.max_span_us, None if s.budget_us is None else s.budget_us / 1e6)
         engine = "bound" if limits.budget_s is not None else self.engine
-        return track(seed, self._source(s.source), s.direction, nodes=nodes, edges=edges, limits=limits, engine=engine)
+        return track_many(seeds, self._source(s.source), s.direction, nodes=nodes, edges=edges, limits=limits, engine=engine)
+
+    def trace(self, s: Trace) -> TraceGraph:
+        source = self._source(s.source)
+        return TraceGraph(source.entities, self._many([self._seed(s)], s).drop("case_id"))
+
+    def _seed(self, s: Trace) -> Seed:
+        return {
+            "variable": lambda: Seed.graph(self.catalog[s.seed.value]), "text": lambda: Seed.text(s.seed.value),
+            "entity": lambda: Seed.entities(condition(s.seed.value, "entity")), "event": lambda: Seed.events(condition(s.seed.value, "event")),
+        }[s.seed.kind]()

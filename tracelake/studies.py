@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -11,11 +12,11 @@ from tracelake.lang import parse
 from tracelake.lang.analyze import sql_of
 from tracelake.lang.tree import Compare
 from tracelake.model import oracle
-from tracelake.search.run import graph_text, logsearch_text, monolithic_sql
+from tracelake.search.run import graph_text, joined_sql, logsearch_text, monolithic_sql
 from tracelake.session import Session
-from tracelake.track import NodeFilter, Seed, track_back, track_many
+from tracelake.track import EdgeFilter, NodeFilter, Seed, track_back, track_many
+from tracelake.track.run import admitted
 from tracelake.track.baselines import track_sql
-from tracelake.workloads import QUERIES as _BASE
 from tracelake.workloads import _seed, register
 
 ALL = list(range(1, 31))
@@ -36,12 +37,8 @@ def _seeds() -> list[Seed]:
 
 
 def constrained(store) -> DataFrame:
-    """The programs of all cases as two passes over all of them: case_id, event_id. Same results as running each text."""
-    drop = NodeFilter(drop=F.expr(sql_of(Compare("path", "~", "/brand"), "entity", "")))
-    back = [s for s in _seeds() if cases.family(s.case_id) != "MW"]
-    ahead = [s for s in _seeds() if cases.family(s.case_id) in ("MW", "EN")]
-    both = track_many(back, store, "back", nodes=drop).select("case_id", "event_id").unionByName(track_many(ahead, store, "forward", nodes=drop).select("case_id", "event_id"))
-    return both.distinct()
+    """What the programs of all cases bind to ``story``: case_id, event_id. Programs of one shape run together."""
+    return Session(store).run_batch({c: cases.program(c) for c in ALL})["story"]
 
 
 def _results(store, entries: int = 3) -> DataFrame:
@@ -83,6 +80,12 @@ def rq1_constrained(spark, sf_dir):
     return measure.accuracy(out, _truth(store)).select("case_id", "edges", "tp", "miss_ratio", "noise_ratio", "f1")
 
 
+@register("cases_track", oracle.with_events("SELECT CAST(case_id AS BIGINT) AS case_id, event_id FROM res", cases.planted_sql(), _CASE_TRACE.format(pois=_WAYS, usable=_NO_BRAND_SQL), recursive=True))
+def cases_track(spark, sf_dir):
+    """Events that the program of each case finds, run from its text."""
+    return constrained(_store(spark, sf_dir))
+
+
 @register("rq1_accuracy")
 def rq1_accuracy(spark, sf_dir):
     """Accuracy and reduction of the four methods, by case."""
@@ -152,15 +155,67 @@ def case_study(spark, sf_dir):
     return session.catalog["story"].events.select("event_id").distinct()
 
 
-@register("rq2_memory")
+_CHAIN_SQL = f"""
+    use_ AS MATERIALIZED ({_NO_BRAND_SQL}),
+    t_poi(case_id, event_id) AS (VALUES {", ".join(map(str, _POIS))}),
+    b(case_id, event_id, n, t) AS (
+        SELECT case_id, event_id, src_id, end_us FROM t_poi JOIN pev USING (event_id)
+        UNION SELECT b.case_id, x.event_id, x.src_id, x.end_us FROM b JOIN use_ x ON x.dst_id = b.n AND x.start_us < b.t),
+    back AS (SELECT DISTINCT case_id, event_id FROM b),
+    entry AS (SELECT case_id, event_id, dst_id, start_us FROM back JOIN pev USING (event_id) WHERE op = 'recvfrom' AND src_id LIKE 'n:tcp:{cases.OUTSIDE}:%'),
+    f(case_id, event_id, n, t) AS (
+        SELECT case_id, event_id, dst_id, start_us FROM entry
+        UNION SELECT f.case_id, x.event_id, x.dst_id, x.start_us FROM f JOIN use_ x ON x.src_id = f.n AND x.end_us > f.t),
+    ahead AS (SELECT DISTINCT case_id, event_id FROM f),
+    steps AS (
+        SELECT 'backward' AS step, case_id, event_id FROM back UNION ALL SELECT 'entry', case_id, event_id FROM entry UNION ALL SELECT 'forward', case_id, event_id FROM ahead
+        UNION ALL SELECT 'intersection', case_id, event_id FROM back JOIN ahead USING (case_id, event_id))"""
+
+
+def memory_chain(store, setting: str) -> DataFrame:
+    """Backward trace of each case, search for entries inside it, forward trace from these, intersection: step, case_id, event_id.
+
+    ``resident`` keeps each result in memory, ``stored`` writes it out; ``anew`` asks the store again for what a later step needs.
+    """
+    drop = NodeFilter(drop=F.expr(sql_of(Compare("path", "~", "/brand"), "entity", "")))
+    keep = {"resident": lambda df: df.persist(StorageLevel.MEMORY_AND_DISK), "stored": lambda df: plans.pin(df, "chain"), "anew": lambda df: df}[setting]
+    outside = store.entities.where(F.coalesce(F.col("src_ip") == cases.OUTSIDE, F.lit(False))).select(F.col("entity_id").alias("o_id"))
+
+    def back():
+        return track_many(_seeds(), store, "back", nodes=drop)
+
+    def entries(rows):
+        own = rows.where("op = 'recvfrom'").join(outside, F.col("src_id") == F.col("o_id"), "left_semi")
+        return own.select("case_id", "event_id").distinct()
+
+    first = keep(back())
+    entry = keep(entries(first))
+    found = [(r.case_id, r.event_id) for r in entry.collect()]  # a few for each case
+    seeds = [Seed.events(F.col("event_id").isin([e for c, e in found if c == case]), case) for case in sorted({c for c, _ in found})]
+    ahead = keep(track_many(seeds, store, "forward", nodes=drop)) if seeds else first.where(F.lit(False))
+    again = first if setting != "anew" else back()
+    pairs = lambda df: df.select("case_id", "event_id")
+    parts = {"backward": pairs(first), "entry": entry, "forward": pairs(ahead), "intersection": pairs(again).intersect(pairs(ahead))}
+    out = None
+    for name, df in parts.items():
+        own = df.distinct().select(F.lit(name).alias("step"), "case_id", "event_id")
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+_SETTINGS = ("resident", "stored", "anew")
+
+
+@register("rq2_memory", oracle.with_events(
+    f"SELECT setting, step, CAST(case_id AS BIGINT) AS case_id, count(*) AS events FROM steps CROSS JOIN (VALUES {', '.join(f'({s!r})' for s in _SETTINGS)}) v(setting) GROUP BY 1, 2, 3",
+    cases.planted_sql(), _CHAIN_SQL, recursive=True,
+))
 def rq2_memory(spark, sf_dir):
-    """Events of a refined trace, with the first result kept in memory, stored, and asked for anew."""
-    base = _store(spark, sf_dir)
+    """Events of each step of the four-step chain by case, with results kept in memory, stored, and asked for anew."""
+    store = _store(spark, sf_dir)
     out = None
-    for setting in ("resident", "stored", "anew"):
-        g = track_back(_seed(spark, sf_dir, 0.5), base)
-        g = {"resident": g.resident, "stored": g.stored, "anew": lambda g=g: g}[setting]()
-        own = g.refine(edges=F.col("op").isin("read", "write")).events.agg(F.count(F.lit(1)).alias("events")).select(F.lit(setting).alias("setting"), "events")
+    for setting in _SETTINGS:
+        own = memory_chain(store, setting).groupBy("step", "case_id").agg(F.count(F.lit(1)).alias("events")).select(F.lit(setting).alias("setting"), "step", "case_id", "events")
         out = own if out is None else out.unionByName(own)
     return out
 
@@ -174,34 +229,54 @@ def rq3_steps(spark, sf_dir):
     return g.events.where("level > 0").groupBy("level").agg(F.count(F.lit(1)).alias("events"))
 
 
-@register("rq3_cost")
-def rq3_cost(spark, sf_dir):
-    """Abstract cost of a trace: one recursive statement against steps, by hop cap."""
-    from tracelake.model import views
+#: Rounds of the recursive statement whose cost is compared; without a limit it would not end on cycles.
+COST_HOPS = 4
+_COST_SQL = f"""
+    use_ AS MATERIALIZED ({_NO_BRAND_SQL}),
+    t_poi(case_id, event_id) AS (VALUES {", ".join(map(str, _POIS))}),
+    w(case_id, event_id, n, b, hop) AS (
+        SELECT case_id, event_id, src_id, end_us, 0 FROM t_poi JOIN pev USING (event_id)
+        UNION ALL SELECT w.case_id, x.event_id, x.src_id, x.end_us, w.hop + 1 FROM w JOIN use_ x ON x.dst_id = w.n AND x.start_us < w.b WHERE w.hop < {COST_HOPS})"""
+
 
-    store = views.events(spark, sf_dir)
-    store = type(store)(plans.pin(store.entities), plans.pin(store.events))
-    degree = store.events.groupBy("dst_id").count().agg(F.avg("count")).first()[0]
-    paths = [r["n"] for r in _BASE["track_paths_3"](spark, sf_dir).select(F.col("paths").alias("n")).orderBy("steps").collect()]
-    steps: list[dict] = []
-    track_back(_seed(spark, sf_dir, 0.5), store, engine="bound", metrics=steps)
-    rows = [("one_statement_3_hops", float(measure.recursive_cost(paths, degree))), ("stepwise_3_hops", measure.stepwise_cost(steps[:3])), ("stepwise_all", measure.stepwise_cost(steps))]
-    return spark.createDataFrame(rows, "form string, cost double")
+@register("rq3_cost", oracle.with_events(
+    "SELECT CAST(case_id AS BIGINT) AS case_id, CAST(hop AS INTEGER) AS hop, count(*) AS paths, count(DISTINCT event_id) AS events, count(DISTINCT n) AS nodes FROM w GROUP BY 1, 2",
+    cases.planted_sql(), _COST_SQL, recursive=True,
+))
+def rq3_cost(spark, sf_dir):
+    """Per case and hop: rows that one recursive statement makes (paths), and events and nodes that a stepwise trace asks for."""
+    store = _store(spark, sf_dir)
+    drop = NodeFilter(drop=F.expr(sql_of(Compare("path", "~", "/brand"), "entity", "")))
+    usable = plans.pin(admitted(store, drop, EdgeFilter()).select("event_id", "src_id", "dst_id", "start_us", "end_us"), "usable")
+    given = store.events.where(F.col("event_id").isin([e for _, e in _POIS])).select(F.col("event_id").alias("g_id"), "src_id", "end_us")
+    pois = spark.createDataFrame(_POIS, "case_id bigint, event_id bigint")
+    # Equal paths of a case are one row with their number, so the count of paths needs no paths.
+    level = pois.join(given, F.col("event_id") == F.col("g_id")).select("case_id", "event_id", F.col("src_id").alias("n"), F.col("end_us").alias("b"), F.lit(1).cast("bigint").alias("many"))
+    out = None
+    for hop in range(COST_HOPS + 1):
+        level = plans.pin(level, "cost")
+        own = level.groupBy("case_id").agg(F.lit(hop).alias("hop"), F.sum("many").alias("paths"), F.count_distinct("event_id").alias("events"), F.count_distinct("n").alias("nodes"))
+        out = own if out is None else out.unionByName(own)
+        step = level.join(usable.withColumnRenamed("event_id", "x_id"), (F.col("dst_id") == F.col("n")) & (F.col("start_us") < F.col("b")))
+        level = step.groupBy("case_id", F.col("x_id").alias("event_id"), F.col("src_id").alias("n"), F.col("end_us").alias("b")).agg(F.sum("many").alias("many"))
+    return out
 
 
-@register("rq4_words")
-def rq4_words(spark, sf_dir):
-    """Mean words of the cases' queries in four forms, by kind of query."""
+def _word_rows() -> list[tuple[str, str, int]]:
     rows = []
     for c in ALL:
         find = parse(cases.search_text(c))[0]
-        rows.append(("search", "language", measure.words(cases.search_text(c))))
-        rows.append(("search", "sql", measure.words(monolithic_sql(find))))
-        rows.append(("search", "graph", measure.words(graph_text(find))))
-        rows.append(("search", "logsearch", measure.words(logsearch_text(find))))
-        rows.append(("tracking", "language", measure.words(cases.program(c))))
-        rows.append(("tracking", "sql", measure.words(track_sql(cases.event_id(c, cases.poi(c)), 10))))
-    return spark.createDataFrame(rows, "kind string, form string, words int").groupBy("kind", "form").agg(F.round(F.avg("words"), 6).alias("words"))
+        rows += [("search", form, measure.words(text)) for form, text in (
+            ("language", cases.search_text(c)), ("sql", monolithic_sql(find)), ("graph", graph_text(find)), ("logsearch", logsearch_text(find)),
+        )]
+        rows += [("tracking", "language", measure.words(cases.program(c))), ("tracking", "sql", measure.words(track_sql(cases.event_id(c, cases.poi(c)), 10)))]
+    return rows
+
+
+@register("rq4_words", f"SELECT kind, form, round(avg(words), 6) AS words FROM (VALUES {', '.join(map(str, _word_rows()))}) v(kind, form, words) GROUP BY kind, form")
+def rq4_words(spark, sf_dir):
+    """Mean words of the cases' queries in four forms, by kind of query."""
+    return spark.createDataFrame(_word_rows(), "kind string, form string, words int").groupBy("kind", "form").agg(F.round(F.avg("words"), 6).alias("words"))
 
 
 #: Invented answers that only exercise the table.
@@ -213,7 +288,19 @@ def rq5_study(spark, sf_dir):
     return measure.study_summary(spark.createDataFrame(_STUDY, "task string, language string, minutes double, queries int, finished boolean"))
 
 
-@register("cases_search")
+def _search_sql() -> str:
+    """All searches as joins, one after the other."""
+    parts = []
+    for c in ALL:
+        find = parse(cases.search_text(c))[0]
+        steps = range(len(find.steps))
+        parts.append(f"q{c} AS MATERIALIZED ({joined_sql(find, 'pev', 'pent')})")
+        parts.append(f"u{c} AS ({' UNION '.join(f'SELECT CAST({c} AS BIGINT) AS case_id, e{k} AS event_id FROM q{c}' for k in steps)})")
+    every = " UNION ALL ".join(f"SELECT case_id, event_id FROM u{c}" for c in ALL)
+    return oracle.with_stored(every, cases.planted_sql().replace("pev AS (", "pev AS MATERIALIZED ("), cases.entities_sql(), *parts)
+
+
+@register("cases_search", _search_sql())
 def cases_search(spark, sf_dir):
     """Matches of the searches of all cases."""
     from tracelake.search import search

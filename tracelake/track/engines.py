@@ -38,25 +38,35 @@ def directed(edges: DataFrame, direction: str) -> DataFrame:
     return edges.select("event_id", F.col("src_id").alias("key"), F.col("dst_id").alias("next"), (-F.col("end_us")).alias("t_in"), (-F.col("start_us")).alias("t_out"))
 
 
-def bound_form(edges: DataFrame, seeds: DataFrame, given: DataFrame, most: int | None = None, budget_s: float | None = None) -> tuple[DataFrame, list[dict]]:
+def bound_form(
+    edges: DataFrame, seeds: DataFrame, given: DataFrame, most: int | None = None, budget_s: float | None = None, blocked: DataFrame | None = None,
+) -> tuple[DataFrame, list[dict]]:
     """Rounds over nodes. The state is one bound per node reached.
 
     In a round each raised node finds only the edges between its old and its new
-    bound, so an edge is found once and needs no comparison with those seen.
+    bound, so an edge is found once and needs no comparison with those seen. The
+    bounds of a round reach the scan as literals. ``blocked`` are nodes that no edge may touch:
+    a seed's own node is left out at the start, others as they are found. If the
+    wall clock stops it, the last entry of the steps says so (partial).
     """
+    if blocked is not None:
+        seeds = seeds.join(blocked, F.col("node") == F.col("blocked"), "left_anti")
     bounds = plans.pin(seeds.groupBy("case_id", "node").agg(F.max("bound").alias("bound")), "bounds")
     frontier = bounds.select("case_id", "node", F.lit(-EVERYTHING).alias("low"), F.col("bound").alias("high"))
     parts, steps, began, level = [], [], time.monotonic(), 0
     while most is None or level < most:
-        if budget_s is not None and level and time.monotonic() - began > budget_s:
-            break
-        nodes = frontier.count()
+        nodes, first, last = frontier.agg(F.count(F.lit(1)), F.min("low"), F.max("high")).first()
         if not nodes:
             break
+        if budget_s is not None and level and time.monotonic() - began > budget_s:
+            steps.append({"level": None, "frontier": nodes, "events": 0, "partial": True})
+            break
         level += 1
         side = F.broadcast(frontier) if nodes <= BROADCAST_NODES else frontier
-        found = edges.join(side, (F.col("key") == F.col("node")) & (F.col("t_in") >= F.col("low")) & (F.col("t_in") < F.col("high")))
+        found = edges.where((F.col("t_in") >= first) & (F.col("t_in") < last)).join(side, (F.col("key") == F.col("node")) & (F.col("t_in") >= F.col("low")) & (F.col("t_in") < F.col("high")))
         found = found.join(given.select(F.col("case_id").alias("g_case"), F.col("event_id").alias("g_event")), (F.col("case_id") == F.col("g_case")) & (F.col("event_id") == F.col("g_event")), "left_anti")
+        if blocked is not None:
+            found = found.join(blocked, F.col("next") == F.col("blocked"), "left_anti")
         found = plans.pin(found.select("case_id", "event_id", "next", "t_out"), "found")
         offered = found.groupBy("case_id", F.col("next").alias("node")).agg(F.max("t_out").alias("offer"))
         known = bounds.select(F.col("case_id").alias("b_case"), F.col("node").alias("b_node"), F.col("bound").alias("old"))

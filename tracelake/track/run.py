@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from functools import reduce
+from operator import or_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -63,9 +65,9 @@ class Seed:
     def graph(graph: TraceGraph, case_id: int = 0) -> Seed:
         return Seed("graph", graph, case_id)
 
-    def resolve(self, source, direction: str) -> tuple[DataFrame, DataFrame]:
-        """(case_id, node, bound) and the events that belong to the result from the start."""
-        case = F.lit(self.case_id).cast("bigint").alias("case_id")
+    def resolve(self, source, direction: str, case: str | None = None) -> tuple[DataFrame, DataFrame]:
+        """(case_id, node, bound) and the events that belong to the result from the start; ``case`` names a column with the case."""
+        case = F.lit(self.case_id).cast("bigint").alias("case_id") if case is None else F.col(case)
         if self.kind == "entities":
             nodes = source.entities.where(self.what).select(case, F.col("entity_id").alias("node"), F.lit(engines.EVERYTHING).alias("bound"))
             return nodes, source.events.where(F.lit(False))
@@ -74,6 +76,38 @@ class Seed:
         return own.select(case, F.col(end).alias("node"), bound.alias("bound")), own
 
 
+def starts(seeds: list[Seed], source, direction: str) -> tuple[DataFrame, DataFrame]:
+    """(case_id, node, bound) and the events given, of all seeds; seeds by conditions are one scan together."""
+    nodes, given = [], []
+    for kind, rows in (("events", source.events), ("entities", source.entities)):
+        own = [s for s in seeds if s.kind == kind]
+        if len(own) > 1:
+            cases = F.array_compact(F.array(*[F.when(s.what, F.lit(s.case_id).cast("bigint")) for s in own]))
+            rows = rows.where(reduce(or_, (s.what for s in own))).withColumn("case_id", F.explode(cases))
+            one = Seed.events(F.lit(True)) if kind == "events" else Seed.entities(F.lit(True))
+            at, held = one.resolve(replace(source, **{kind: rows}), direction, "case_id")
+            nodes.append(at)
+            given += [held] if kind == "events" else []
+    for s in seeds:
+        if s.kind == "graph" or sum(x.kind == s.kind for x in seeds) == 1:
+            at, held = s.resolve(source, direction)
+            nodes.append(at)
+            given.append(held.withColumn("case_id", F.lit(s.case_id).cast("bigint")))
+    if not given:
+        given = [source.events.where(F.lit(False)).withColumn("case_id", F.lit(0).cast("bigint"))]
+    return reduce(DataFrame.unionByName, nodes), reduce(lambda a, b: a.unionByName(b, allowMissingColumns=True), given)
+
+
+def blocked_nodes(source, nodes: NodeFilter) -> DataFrame | None:
+    """Ids of the entities that the filter keeps out; None without a filter."""
+    bad = None
+    if nodes.keep is not None:
+        bad = ~nodes.keep
+    if nodes.drop is not None:
+        bad = nodes.drop if bad is None else bad | nodes.drop
+    return None if bad is None else source.entities.where(bad).select(F.col("entity_id").alias("blocked"))
+
+
 def admitted(source, nodes: NodeFilter, edges: EdgeFilter) -> DataFrame:
     """Events that pass the edge filter and whose both ends pass the node filter."""
     out = source.events
@@ -81,13 +115,8 @@ def admitted(source, nodes: NodeFilter, edges: EdgeFilter) -> DataFrame:
         out = out.where(edges.keep)
     if edges.drop is not None:
         out = out.where(~edges.drop)
-    bad = None
-    if nodes.keep is not None:
-        bad = ~nodes.keep
-    if nodes.drop is not None:
-        bad = nodes.drop if bad is None else bad | nodes.drop
-    if bad is not None:
-        blocked = source.entities.where(bad).select(F.col("entity_id").alias("blocked"))
+    blocked = blocked_nodes(source, nodes)
+    if blocked is not None:
         for end in ("src_id", "dst_id"):
             out = out.join(blocked, F.col(end) == F.col("blocked"), "left_anti")
     return out
@@ -104,23 +133,24 @@ def track_many(
     ``filter_mode="after"`` the whole closure is taken first and filtered then;
     filters never remove the seeds' events.
     """
-    resolved = [s.resolve(source, direction) for s in seeds]
-    start, given = None, None
-    for seed, (node, own) in zip(seeds, resolved):
-        own = own.withColumn("case_id", F.lit(seed.case_id).cast("bigint"))
-        start = node if start is None else start.unionByName(node)
-        given = own if given is None else given.unionByName(own, allowMissingColumns=True)
+    start, given = starts(seeds, source, direction)
+    given = plans.pin(given, "given")  # a few events, which each round looks at
     usable = admitted(source, nodes, edges) if filter_mode == "during" else source.events
+    in_span = F.lit(True)
     if limits.max_span_us is not None:
         span = limits.max_span_us
         edge = given.agg(F.min("start_us"), F.max("end_us")).first()
         if edge[0] is not None:
-            usable = usable.where(F.col("start_us") >= edge[0] - span) if direction == "back" else usable.where(F.col("end_us") <= edge[1] + span)
-    paths = engines.directed(usable, direction)
+            in_span = F.col("start_us") >= edge[0] - span if direction == "back" else F.col("end_us") <= edge[1] + span
+    paths = engines.directed(usable.where(in_span), direction)
     if engine == "auto":
         small = plans.up_to(paths, engines.LOCAL_EDGES)
         engine, paths = ("bound", paths) if small is None else ("local", small)
     options = {"budget_s": limits.budget_s} if engine == "bound" else {}
+    if engine == "bound" and filter_mode == "during" and (blocked := blocked_nodes(source, nodes)) is not None:
+        # Rounds look at the nodes found, so that no round joins all events with the filter.
+        options["blocked"] = plans.pin(blocked, "blocked")
+        paths = engines.directed(admitted(source, NodeFilter(), edges).where(in_span), direction)
     found, steps = engines.FORMS[engine](paths, start, given.select("case_id", "event_id"), limits.max_hops, **options)
     if metrics is not None:
         metrics += steps
