@@ -245,7 +245,8 @@ def test_pairs_at_the_threshold_are_all_found(spark):
 def test_queries_pass_by_the_index_in_many_batches(spark, monkeypatch):
     rng = np.random.default_rng(12)
     x = rng.standard_normal((300, 8))
-    monkeypatch.setattr(vectors, "SMALL_SEGMENT", 100)
+    monkeypatch.setattr(vectors, "NEAR_CELL", 100)
+    monkeypatch.setattr(vectors, "SEGMENT", 60)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
     try:
         df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
@@ -260,3 +261,22 @@ def test_queries_pass_by_the_index_in_many_batches(spark, monkeypatch):
         d[q] = np.inf
         right += len(set(np.argsort(d)[:3].tolist()) & {v for _, v in got[q]})
     assert set(got) == set(range(0, 300, 2)) and right >= 0.9 * 450
+
+
+def test_cells_are_pruned_and_cost_no_neighbour(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    base = rng.standard_normal((12, 24)) * 8
+    x = base[rng.integers(0, 12, 1500)] + rng.standard_normal((1500, 24))
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(3)
+    got = []
+    for cell, parts in ((10**9, "4"), (100, "4"), (100, "7")):
+        monkeypatch.setattr(vectors, "NEAR_CELL", cell)
+        spark.conf.set("spark.sql.shuffle.partitions", parts)
+        got.append(sorted(map(tuple, vectors.nearest(df, df.where("vec_id % 10 = 0"), 5).collect())))
+    spark.conf.set("spark.sql.shuffle.partitions", "4")
+    assert got[1] == got[2]
+    d = np.sqrt(((x[::10, None] - x[None]) ** 2).sum(axis=2))
+    d[np.arange(150), np.arange(0, 1500, 10)] = np.inf
+    want = {(10 * q, int(v)) for q in range(150) for v in np.argsort(d[q], kind="stable")[:5]}
+    for rows in got:
+        assert len({(r[0], r[2]) for r in rows} & want) >= 0.95 * len(want)

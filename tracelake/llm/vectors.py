@@ -278,8 +278,11 @@ PROJECTIONS = 64
 WIDTH = 2.7
 COLLISIONS = 47
 GROWTH = 1.25
+#: Vectors of a cell, about; a cell of more than SEGMENT is indexed in parts.
+NEAR_CELL = 8192
 SEGMENT = 65_536
-SMALL_SEGMENT = 2048
+#: Centres of the cells come from a sample of this many vectors at most; any choice gives right answers.
+MOST_CENTRES = 1024
 
 
 class CollisionIndex:
@@ -300,20 +303,20 @@ class CollisionIndex:
         self.first = np.arange(PROJECTIONS) * n
         self.start = max(float(shadow.std()) * 0.05, 1e-9)
 
-    def nearest(self, q: np.ndarray, own_id: int, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """The k nearest found: ids and distances; ties go to the smaller id.
+    def nearest(self, q: np.ndarray, own_id: int, k: int, bound: float = np.inf) -> tuple[np.ndarray, np.ndarray]:
+        """The k nearest found within ``bound``: ids and distances; ties go to the smaller id.
 
         The window around the query's place on every line grows with the radius.
         A vector that shares the windows of at least ``COLLISIONS`` lines is
         verified. The search ends when k verified vectors lie within the radius,
-        or when the windows hold everything.
+        when the radius reaches the bound, or when the windows hold everything. A round
+        touches what its windows gain, not the whole segment.
         """
         n = len(self.ids)
         at = (q / self.scale) @ self.lines + self.shift
         low = np.clip(np.searchsorted(self.flat, at), self.first, self.first + n)
         high = low.copy()
-        hits = np.zeros(n, dtype=np.int64)
-        checked = self.ids == own_id
+        hits = np.zeros(n, dtype=np.uint8)
         ids, dist = np.zeros(0, np.int64), np.zeros(0)
         radius = self.start
         while True:
@@ -322,18 +325,18 @@ class CollisionIndex:
             begin, size = np.concatenate([a, high]), np.concatenate([low - a, b - high])
             low, high = a, b
             stop = np.cumsum(size)
-            fresh = stop[-1] > 0
-            if fresh:
-                places = np.repeat(begin - (stop - size), size) + np.arange(stop[-1])
-                hits += np.bincount(self.order[places], minlength=n)
-                new = np.flatnonzero((hits >= COLLISIONS) & ~checked)
+            if stop[-1]:
+                met, times = np.unique(self.order[np.repeat(begin - (stop - size), size) + np.arange(stop[-1])], return_counts=True)
+                before = hits[met]
+                hits[met] = before + times.astype(np.uint8)
+                new = met[(hits[met] >= COLLISIONS) & (before < COLLISIONS)]
+                new = new[self.ids[new] != own_id]
                 if len(new):
-                    checked[new] = True
                     d = np.sqrt(((self.x[new] - q) ** 2).sum(axis=1))
                     ids, dist = np.append(ids, self.ids[new]), np.append(dist, d)
                     best = np.lexsort((ids, dist))[:k]
                     ids, dist = ids[best], dist[best]
-            if len(ids) >= k and dist[-1] <= radius * self.scale:
+            if (len(ids) >= k and dist[-1] <= radius * self.scale) or radius * self.scale >= bound:
                 break
             if (high - low == n).all():
                 break
@@ -341,30 +344,101 @@ class CollisionIndex:
         return ids, dist
 
 
+def _near_centres(base: DataFrame, count: int) -> dict[int, np.ndarray]:
+    """Centres by dimension, in greedy order, from a sample by hash. Their number follows the number of vectors."""
+    share = min(1.0, 2.0 * CENTRE_SAMPLE / max(count, 1))
+    draw = F.shiftrightunsigned(F.xxhash64("vec_id", "vector"), 33) / F.lit(float(2**31))
+    held = base.where(draw < share).select("dim", "vector").limit(CENTRE_SAMPLE * 4).toArrow()  # about 2 * CENTRE_SAMPLE rows
+    dims = held.column("dim").to_numpy()
+    out = {}
+    for dim in np.unique(dims).tolist():
+        own = np.flatnonzero(dims == dim)
+        x = matrix(held.column("vector").take(pa.array(own)))
+        many = max(1, min(MOST_CENTRES, round(count * len(own) / len(dims) / NEAR_CELL)))
+        x = x[np.random.default_rng(3).permutation(len(x))[: 16 * many]]
+        order, _ = greedy_order(x, many, 0.0)
+        out[dim] = x[order]
+    return out
+
+
+def _from_centres(x: np.ndarray, centres: np.ndarray) -> np.ndarray:
+    with np.errstate(all="ignore"):
+        return distances(x, centres)
+
+
 def nearest(rows: DataFrame, queries: DataFrame, k: int = 10, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """Per query its k nearest rows found: query_id, rank, vec_id, score (Euclidean distance).
 
-    Both frames have vec_id and a vector. Every usable row is indexed, in
-    segments of even size; each segment answers all queries, and the answers are
-    merged. Rows with the query's own vec_id are no candidates; ties go to the
+    Both frames have vec_id and a vector. Every usable row is indexed in the cell of its
+    nearest centre; large cells in several segments. A query first asks its own cell; the
+    k-th distance found there bounds what is worth finding, and by the triangle inequality
+    only cells whose centre is nearer than the bound and the cell's radius are asked then. So
+    cells cost no neighbour, whatever the centres; data without structure make a query ask
+    all cells. Rows with the query's own vec_id are no candidates; ties go to the
     smaller vec_id. Unusable vectors, vectors of another dimension than the
     query's, and rows without vec_id take no part. Repeated rows are candidates
     each. Without queries or rows the result is empty.
     """
-    spark = rows.sparkSession
-    n = common.partitions(spark)
 
     def clean(df):
         out = df.select(F.col(vec_id).cast("bigint").alias("vec_id"), F.col(vector).cast("array<double>").alias("vector"))
         return out.where(usable(F.col("vector")) & F.col("vec_id").isNotNull()).withColumn("dim", F.size("vector"))
 
     base, asked = clean(rows), clean(queries)
-    count = base.count()
-    segments = max(-(-count // SEGMENT), min(n, -(-count // SMALL_SEGMENT)), 1)
-    base = base.withColumn("segment", F.pmod(F.xxhash64("vec_id"), F.lit(segments)).cast("int")).withColumn("asks", F.lit(False))
-    asked = asked.withColumn("segment", F.explode(F.sequence(F.lit(0), F.lit(segments - 1)))).withColumn("asks", F.lit(True))
-    # By range, as hashes of few segment numbers would put several into one task.
-    both = base.unionByName(asked).repartitionByRange(segments, "segment").sortWithinPartitions("segment", "dim", "asks")
+    centres = _near_centres(base, base.count())
+
+    def place(batches):
+        for batch in batches:
+            dims = batch.column("dim").to_numpy()
+            cell, far = np.zeros(len(dims), dtype=np.int32), np.full(len(dims), np.inf)
+            for dim in np.unique(dims).tolist():
+                at = np.flatnonzero(dims == dim)
+                if dim in centres:
+                    d = np.nan_to_num(_from_centres(matrix(batch.column("vector").take(pa.array(at))), centres[dim]), nan=np.inf)
+                    cell[at], far[at] = d.argmin(axis=1), d.min(axis=1)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cell), pa.array(far)], names=[*batch.schema.names, "cell", "far"])
+
+    fields = "vec_id bigint, vector array<double>, dim int"
+    base = common.written(base.mapInArrow(place, f"{fields}, cell int, far double"), "near-base")
+    # At most MOST_CENTRES rows for each dimension.
+    cells = {(r.dim, r.cell): (r.n, r.radius) for r in base.groupBy("dim", "cell").agg(F.count(F.lit(1)).alias("n"), F.max("far").alias("radius")).collect()}
+    first, many = {}, 0  # each cell's first segment
+    for key in sorted(cells):
+        first[key] = many
+        many += -(-cells[key][0] // SEGMENT)
+    if not many:
+        return asked.select(F.col("vec_id").alias("query_id"), F.lit(1).alias("rank"), "vec_id", F.lit(0.0).alias("score")).where(F.lit(False))
+
+    def segments_of(key):
+        return range(first[key], first[key] + -(-cells[key][0] // SEGMENT))
+
+    def ask(batches):
+        """Segments to ask: of the nearest cell without a bound, of all others that the bound allows with one."""
+        for batch in batches:
+            dims, bounds = batch.column("dim").to_numpy(), batch.column("bound").to_numpy(zero_copy_only=False)
+            lists = [[] for _ in dims]
+            for dim in np.unique(dims).tolist():
+                keys = [key for key in sorted(cells) if key[0] == dim]
+                if not keys:
+                    continue
+                at = np.flatnonzero(dims == dim)
+                x, c = matrix(batch.column("vector").take(pa.array(at))), centres.get(dim)
+                if c is None:  # no vector of this dimension was drawn, so all are in one cell
+                    d = np.zeros((len(at), 1))
+                else:
+                    own = c[[key[1] for key in keys]]
+                    d = np.nan_to_num(_from_centres(x, own), nan=0.0, posinf=0.0)
+                    # The distances are sums that cancel; what they may be off by never leaves a cell out.
+                    d -= 1e-6 * (np.abs(x).max(axis=1)[:, None] + np.abs(own).max(axis=1)[None, :]) * np.sqrt(x.shape[1])
+                radius = np.array([cells[key][1] for key in keys])
+                for row, k_ in enumerate(at.tolist()):
+                    home = int(d[row].argmin())
+                    if np.isnan(bounds[k_]):
+                        lists[k_] = list(segments_of(keys[home]))
+                    else:
+                        near = np.flatnonzero(d[row] - radius <= bounds[k_])
+                        lists[k_] = [s for j in near.tolist() if j != home for s in segments_of(keys[j])]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lists, pa.list_(pa.int32()))], names=[*batch.schema.names, "segments"])
 
     def search(batches):
         # Rows of a segment come before its queries, so only the segment is held;
@@ -385,13 +459,31 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int = 10, vec_id: str = "vec
                     index = CollisionIndex(matrix(table.column("vector")), table.column("vec_id").to_numpy())
                 if index is None:
                     continue
-                own_ids = part.column("vec_id").to_numpy()
-                for q, own_id in zip(matrix(part.column("vector")), own_ids.tolist()):
-                    found, score = index.nearest(q, own_id, k)
+                own_ids, most = part.column("vec_id").to_numpy(), np.nan_to_num(part.column("bound").to_numpy(zero_copy_only=False), nan=np.inf)
+                for q, own_id, top in zip(matrix(part.column("vector")), own_ids.tolist(), most.tolist()):
+                    found, score = index.nearest(q, own_id, k, top)
                     if len(found):
                         query = pa.array(np.full(len(found), own_id))
                         yield pa.RecordBatch.from_arrays([query, pa.array(found), pa.array(score)], names=["query_id", "vec_id", "score"])
 
-    found = both.mapInArrow(search, "query_id bigint, vec_id bigint, score double")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))
+    table = rows.sparkSession.createDataFrame([(*key, first[key], len(segments_of(key))) for key in sorted(cells)], "c_dim int, c_cell int, c_first int, c_many int")
+    indexed = base.join(F.broadcast(table), (F.col("dim") == F.col("c_dim")) & (F.col("cell") == F.col("c_cell")))
+    segment = (F.col("c_first") + F.pmod(F.xxhash64("vec_id"), F.col("c_many"))).cast("int")
+    indexed = indexed.select("vec_id", "vector", "dim", F.lit(None).cast("double").alias("bound"), segment.alias("segment"), F.lit(False).alias("asks"))
+
+    def found_by(asks):
+        spread = asks.mapInArrow(ask, f"{fields}, bound double, segments array<int>")
+        spread = spread.select("vec_id", "vector", "dim", "bound", F.explode("segments").alias("segment"), F.lit(True).alias("asks"))
+        # By range, as hashes of few segment numbers would put several into one task.
+        both = indexed.unionByName(spread).repartitionByRange(many, "segment").sortWithinPartitions("segment", "dim", "asks")
+        return common.written(both.mapInArrow(search, "query_id bigint, vec_id bigint, score double"), "near-found")
+
+    by_query = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    asked = common.written(asked, "near-queries")
+    at_home = found_by(asked.withColumn("bound", F.lit(float("nan"))))
+    # Queries that share a vec_id have one answer; the farthest bound of theirs holds for all.
+    kth = at_home.withColumn("r", F.row_number().over(by_query)).where(F.col("r") == k).select(F.col("query_id").alias("b_id"), F.col("score").alias("b_score"))
+    again = asked.join(kth, F.col("vec_id") == F.col("b_id"), "left").select("vec_id", "vector", "dim", F.coalesce("b_score", F.lit(float("inf"))).alias("bound"))
+    found = at_home.unionByName(found_by(again))
+    rank = F.row_number().over(by_query)
     return found.select("query_id", rank.cast("int").alias("rank"), "vec_id", "score").where(F.col("rank") <= k)
