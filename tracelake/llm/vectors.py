@@ -326,7 +326,13 @@ class CollisionIndex:
             low, high = a, b
             stop = np.cumsum(size)
             if stop[-1]:
-                met, times = np.unique(self.order[np.repeat(begin - (stop - size), size) + np.arange(stop[-1])], return_counts=True)
+                places = self.order[np.repeat(begin - (stop - size), size) + np.arange(stop[-1])]
+                if 4 * len(places) < n:
+                    met, times = np.unique(places, return_counts=True)
+                else:  # counting by place costs the segment once, less than sorting so many
+                    times = np.bincount(places, minlength=n)
+                    met = np.flatnonzero(times)
+                    times = times[met]
                 before = hits[met]
                 hits[met] = before + times.astype(np.uint8)
                 new = met[(hits[met] >= COLLISIONS) & (before < COLLISIONS)]
