@@ -5,7 +5,9 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+from pathlib import Path
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -26,6 +28,25 @@ def test_licences(spark):
     assert mit and licences.scan(df).count() == 10 and licences.scan(df.limit(0)).count() == 0
 
 
+def test_whole_texts_of_long_licences(spark):
+    folder = Path("/usr/share/common-licenses")
+    names = {"Apache-2.0": "Apache-2.0", "GPL-2": "GPL-2.0", "GPL-3": "GPL-3.0", "LGPL-2.1": "LGPL-2.1", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0"}
+    held = {k: (folder / k).read_text() for k in names if (folder / k).is_file()}
+    if not held:
+        pytest.skip("no licence texts on this machine")
+    rows = [(i, text) for i, text in enumerate(held.values())] + [(100 + i, re.sub(r"\s+", " ", text).upper()) for i, text in enumerate(held.values())]
+    rows += [(200 + i, text[:-200]) for i, text in enumerate(held.values())]
+    got = {r.doc_id: r.licence for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, k in enumerate(held):
+        assert got[i] == names[k] and got[200 + i] is None
+        # On one line, all of it goes with a copyright notice that it holds.
+        assert got[100 + i] in (names[k], None)
+    con = duckdb.connect()
+    con.execute("CREATE TABLE documents (doc_id BIGINT, text VARCHAR)")
+    con.executemany("INSERT INTO documents VALUES (?, ?)", rows)
+    assert {r[0]: r[2] for r in con.execute(f"SELECT doc_id, canonical_digest, licence FROM ({licences.oracle_sql()})").fetchall()} == got
+
+
 _SYLLABLES = {"xx": ["ka", "to", "mi"], "yy": ["schr", "öf", "elt"], "zz": ["что", "да", "не"]}
 
 

@@ -74,6 +74,37 @@ KNOWN = (
     ("proprietary", "All rights reserved."),
 )
 
+# Digests of the canonical form of whole texts as their publishers give them, and of the terms alone where
+# instructions for use follow them (with and without the line that ends them).
+DIGESTS = (
+    ("Apache-2.0", "6074c3536c43b739207170b87d1681477d0f07374ed3d862ba461334cce848e3"),  # whole
+    ("Apache-2.0", "f70a2718f78121f2da77cd6afbffffbd668d7c1fd36c85a3ef121e83cb5f48fe"),  # terms
+    ("Apache-2.0", "6aa661403864282a4d084f1551e8149a5f1a7b5e8b05b6db8e1a8a28d0badc64"),  # terms without end line
+    ("Artistic-1.0-Perl", "08f1dc258c8f9e175155356aa1dd0dead8cfdec586bc1bb4c8b1452699a91702"),  # whole
+    ("CC0-1.0", "96bdc7f63190fb4bd1ae584b890300ed7517d858b34c945642a3b9b2f1612a5f"),  # whole
+    ("GFDL-1.2", "15f6a8d360ffdecc988c29279c00f23e20de17f14f2a06572ab0d41de6e98b7b"),  # whole
+    ("GFDL-1.3", "2d36daeff2ad303badb6dee8149748be25e22974dd468e1e8a55cf40f16fc01d"),  # whole
+    ("GPL-1.0", "57b5701bbc49e33bbf15e6963f1dab77133171298a1829d7fb0b219c34fa3ff9"),  # whole
+    ("GPL-1.0", "6375a768fd262bf5281905a9585411d2d0fb4ea15cb08cfcba49f73fedb82abc"),  # terms
+    ("GPL-1.0", "89f75ffda938e788be38679f9f83e317c2a03398fccf03ee60505d44d1bf9f70"),  # terms without end line
+    ("GPL-2.0", "75279e90b9b3146efccb6551ba7cdfc901d47aa8ce25d607b3da9b16eefa8c93"),  # whole
+    ("GPL-2.0", "e1270b653c300290e7c039142bccb8776f9b5d14e8a05bc4e87dc7d1614a3b34"),  # terms
+    ("GPL-2.0", "6d332dc4c3c5293a73c6c9da402f9bbc970b3bb1eb472f577e00580573469808"),  # terms without end line
+    ("GPL-3.0", "739a8c73314d63afb8d0557ca44fd59f847001dc2636aed2936ff1c22ea82104"),  # whole
+    ("GPL-3.0", "ac6b52d57c0104e687039148f7b8e370e04c9bb5705bb786f8ef814eb65e8636"),  # terms
+    ("GPL-3.0", "092a7f3b82e6c22949b46388bca99e725b6e756f1c2b1e3f575447fbd44b6191"),  # terms without end line
+    ("LGPL-2.0", "e4deecd0730802431ad09f00ae3793f3703c8e4dba639586545d9f958405614d"),  # whole
+    ("LGPL-2.0", "504542bce5421b0f5a7e63ddb55443ccb300b27a65ba6bfc1370fed16a3af260"),  # terms
+    ("LGPL-2.0", "430627da7218a92ab4a6d75d5140cdb70ee750be7a53f913299b37e0d1b0eea2"),  # terms without end line
+    ("LGPL-2.1", "d3826e4e563a04a354453ff139a32b19d6c3fe283f518eb566107c54e18cd01f"),  # whole
+    ("LGPL-2.1", "48d2010e70a815a564f914b0c7c1e80d7a6843793348fed3684c957112fe0aa4"),  # terms
+    ("LGPL-2.1", "bf2f0c6bf1c47b3b1e3cbedeefecddd1e7db21d1919858d45c2f918efaf426df"),  # terms without end line
+    ("LGPL-3.0", "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be"),  # whole
+    ("MPL-1.1", "469a6324726e3318515c938121859a1acfaba5d131d662968839e23a92b8a873"),  # whole
+    ("MPL-2.0", "6fedd8db6adb0e102fc0f69b9e1501d2edaf25940e34910831cab46f9f5d4e4d"),  # whole
+    ("Unlicense", "e2380bdfe57ca73b01d0b1848a4ee630998d729b260e63082b9267100b4a7229"),  # whole
+)
+
 
 def canonical(text: Column) -> Column:
     """A-Z lowered, copyright lines gone, spellings united, punctuation and white space single blanks."""
@@ -88,17 +119,20 @@ def digest(text: Column) -> Column:
     return F.sha2(canonical(text), 256)
 
 
-def known_digests(spark: SparkSession, known=KNOWN) -> DataFrame:
+def known_digests(spark: SparkSession, known=KNOWN, digests=DIGESTS) -> DataFrame:
     """digest, licence: one row per digest, the first of equal ones."""
     rows = spark.createDataFrame([(n, k, t) for n, (k, t) in enumerate(known)], "n int, licence string, text string")
-    return rows.groupBy(digest(F.col("text")).alias("digest")).agg(F.min_by("licence", "n").alias("licence"))
+    rows = rows.select("n", "licence", digest(F.col("text")).alias("digest"))
+    if digests:
+        rows = rows.unionByName(spark.createDataFrame([(len(known) + n, k, d) for n, (k, d) in enumerate(digests)], "n int, licence string, digest string"))
+    return rows.groupBy("digest").agg(F.min_by("licence", "n").alias("licence"))
 
 
 def scan(docs: DataFrame, known: DataFrame | None = None) -> DataFrame:
     """Per row of ``docs``: doc_id, canonical_digest, licence (null if the whole text is no known one).
 
-    ``known`` has digest and licence, one row per digest; the default are short
-    public licences and notices. It is joined by a hash join that Spark
+    ``known`` has digest and licence, one row per digest; the default are the texts of
+    public licences, and usual notices. It is joined by a hash join that Spark
     broadcasts only if it is small. A null text has a null digest; a text without
     letters and digits has the digest of nothing and no licence. Repeated rows
     are scanned each; an empty table gives an empty result.
@@ -124,8 +158,10 @@ def oracle_sql() -> str:
         return f"sha256(trim(regexp_replace({out}, {text(PUNCTUATION)}, ' ', 'g')))"
 
     rows = ", ".join(f"({n}, {text(k)}, {text(t)})" for n, (k, t) in enumerate(KNOWN))
+    digests = ", ".join(f"({len(KNOWN) + n}, {text(k)}, {text(d)})" for n, (k, d) in enumerate(DIGESTS))
     return f"""
-        WITH known AS (SELECT {expression("t")} AS digest, arg_min(licence, n) AS licence FROM (VALUES {rows}) v(n, licence, t) GROUP BY 1)
+        WITH given AS (SELECT n, licence, {expression("t")} AS digest FROM (VALUES {rows}) v(n, licence, t) UNION ALL SELECT n, licence, digest FROM (VALUES {digests}) w(n, licence, digest)),
+        known AS (SELECT digest, arg_min(licence, n) AS licence FROM given GROUP BY 1)
         SELECT d.doc_id, {expression("d.text")} AS canonical_digest, k.licence
         FROM documents d LEFT JOIN known k ON {expression("d.text")} = k.digest AND k.digest <> sha256('')
     """
