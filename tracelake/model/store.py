@@ -2,20 +2,27 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from tracelake import plans
 from tracelake.model import schema
 
 
 @dataclass(frozen=True)
 class TraceStore:
-    """Entities and events as frames; both are plans until something is asked."""
+    """Entities and events as frames; both are plans until something is asked.
+
+    ``copies`` are the events once more, clustered and sorted by an end (``dst_id``,
+    ``src_id``), as ``ingested`` writes them.
+    """
 
     entities: DataFrame
     events: DataFrame
+    copies: dict[str, DataFrame] | None = None
 
     @property
     def spark(self) -> SparkSession:
@@ -23,7 +30,18 @@ class TraceStore:
 
     def host(self, *hosts: str) -> TraceStore:
         """Only the events of these hosts; entities without a host stay."""
-        return TraceStore(self.entities.where(F.col("host").isNull() | F.col("host").isin(*hosts)), self.events.where(F.col("host").isin(*hosts)))
+        own = F.col("host").isin(*hosts)
+        events = self.events.where(own)
+        copies = {k: events if k == "of" else df.where(own) for k, df in self.copies.items()} if self._whole() else None
+        return TraceStore(self.entities.where(F.col("host").isNull() | own), events, copies)
+
+    def _whole(self) -> bool:
+        """The copies are those of the events; they aren't once a store was made from this one with other events."""
+        return self.copies is not None and self.copies["of"] is self.events
+
+    def along(self, end: str) -> TraceStore:
+        """The same store with its events read from the copy that is sorted by ``end``, where there is one."""
+        return TraceStore(self.entities, self.copies[end]) if self._whole() else self
 
     def edges(self) -> DataFrame:
         return self.events.select(*schema.EDGE_COLUMNS)
@@ -66,6 +84,33 @@ class TraceStore:
         )
 
 
+_ingested: dict[tuple, list[str]] = {}
+_schemas: dict[tuple, tuple] = {}
+
+
+def ingested(spark: SparkSession, name: str, sf_dir: str, make: Callable[[], TraceStore]) -> TraceStore:
+    """The store of ``make``, written once for a state of the tables in ``sf_dir`` and only opened from then on.
+
+    Events are dealt and sorted by start, so that bounds on time skip files and row
+    groups; two copies are clustered and sorted by sink and by source. Partitions
+    are balanced by size, so a node with a third of all events is split. ``name``
+    must tell all that ``make`` depends on beside the tables.
+    """
+    key = (spark.sparkContext.applicationId, plans.shared_dir(spark), name, plans.state_of(spark, sf_dir))
+    made = make() if key not in _ingested or not all(plans.exists(spark, p) for p in _ingested[key]) else None
+    if made is not None:
+        events = made.events
+        frames = [made.entities, events.repartitionByRange("start_us").sortWithinPartitions("start_us")]
+        frames += [events.hint("rebalance", end).sortWithinPartitions(end, "start_us") for end in ("dst_id", "src_id")]
+        _ingested[key] = [plans.write(f, label) for f, label in zip(frames, ("entities", "events", "by_sink", "by_source"))]
+        _schemas[key] = (made.entities.schema, events.schema)
+    entity_schema, event_schema = _schemas[key]
+    paths = _ingested[key]
+    entities = spark.read.schema(entity_schema).parquet(paths[0])
+    events, by_sink, by_source = (spark.read.schema(event_schema).parquet(p) for p in paths[1:])
+    return TraceStore(entities, events, {"of": events, "dst_id": by_sink, "src_id": by_source})
+
+
 def read_six(spark: SparkSession, folder: str) -> TraceStore:
     entities = [spark.read.schema(schema.entity_schema()).parquet(f"{folder}/entity_{k}") for k in schema.KINDS]
     events = [spark.read.schema(schema.event_schema()).parquet(f"{folder}/event_{k}") for k in schema.KINDS]

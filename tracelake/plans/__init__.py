@@ -26,18 +26,42 @@ _written: list[str] = []
 
 def cleanup(spark: SparkSession) -> None:
     """Removes the tables that this process wrote; results that still read them must be gone or stored elsewhere."""
-    conf = spark.sparkContext._jsc.hadoopConfiguration()
     while _written:
-        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(_written.pop())
-        where.getFileSystem(conf).delete(where, True)
+        where, fs = _place(spark, _written.pop())
+        fs.delete(where, True)
 
 
-def pin(df: DataFrame, name: str = "step") -> DataFrame:
-    """``df`` written to the shared folder and read back: cuts the lineage and survives lost executors."""
+def write(df: DataFrame, name: str = "step") -> str:
+    """Writes ``df`` to the shared folder; the path."""
     path = f"{shared_dir(df.sparkSession)}/tracelake/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _written.append(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return path
+
+
+def pin(df: DataFrame, name: str = "step") -> DataFrame:
+    """``df`` written to the shared folder and read back: cuts the lineage and survives lost executors."""
+    return df.sparkSession.read.schema(df.schema).parquet(write(df, name))
+
+
+def _place(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where, where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    where, fs = _place(spark, path)
+    return bool(fs.exists(where))
+
+
+def state_of(spark: SparkSession, folder: str) -> tuple:
+    """Name, time, bytes and number of files of each table of a folder: differs once a table is written again."""
+    where, fs = _place(spark, folder)
+    out = []
+    for status in fs.listStatus(where):
+        held = fs.getContentSummary(status.getPath())
+        out.append((status.getPath().toString(), status.getModificationTime(), held.getLength(), held.getFileCount()))
+    return tuple(sorted(out))
 
 
 def input_bytes(df: DataFrame) -> int:

@@ -17,6 +17,8 @@ from tracelake.search import schedule as S
 #: Up to so many found ids restrict another step as a literal list, up to the second number by a broadcast.
 LITERAL_IDS = 1000
 BROADCAST_IDS = 200_000
+#: Where it is left to the engine, steps over up to so many bytes of events are one plan: writing each costs more than it saves.
+ONE_PLAN_BYTES = 256 * 2**20
 _STEP = ("event_id", "src_id", "dst_id", "start_us", "end_us")
 
 
@@ -120,16 +122,19 @@ def _assemble(find: Find, order: list[int], found: dict[int, DataFrame]) -> Data
 
 
 def search(
-    find: Find, source, mode: str = "score", eager: bool = True, weights: S.Weights = S.Weights(), limit: int | None = None, too_broad: int | None = None,
+    find: Find, source, mode: str = "score", eager: bool | None = True, weights: S.Weights = S.Weights(), limit: int | None = None, too_broad: int | None = None,
 ) -> SearchResult:
     """All matches of a pattern in a store or a graph.
 
     Eager: steps run one by one in scheduled order; what a step found restricts
     the connected ones; a step without rows ends its conjunction. Otherwise the
-    whole pattern is one plan and restricting is left to the optimiser. With
+    whole pattern is one plan and restricting is left to the optimiser. None takes
+    the first for events of more than ``ONE_PLAN_BYTES``, else the second. With
     ``too_broad`` a first step of more rows makes its conjunction lazy.
     """
     parts, ran, rows = [], [], {}
+    if eager is None:
+        eager = plans.input_bytes(source.events) > ONE_PLAN_BYTES
     for group in S.groups(find):
         counts = None
         if mode == "stats":

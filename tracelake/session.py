@@ -100,7 +100,7 @@ class Session:
         if isinstance(s, Show):
             return self._graph(s.expression).show(s.form)
         if isinstance(s, Find):
-            made = search(s, self._source(s.source), self.mode).graph
+            made = search(s, self._source(s.source), self.mode, eager=None).graph
         elif isinstance(s, Trace):
             made = self.trace(s)
         else:

@@ -12,6 +12,7 @@ from tracelake.lang import parse
 from tracelake.lang.analyze import sql_of
 from tracelake.lang.tree import Compare
 from tracelake.model import oracle
+from tracelake.model.store import ingested
 from tracelake.search.run import graph_text, joined_sql, logsearch_text, monolithic_sql
 from tracelake.session import Session
 from tracelake.track import EdgeFilter, NodeFilter, Seed, track_back, track_many
@@ -24,8 +25,7 @@ _POIS = [(c, cases.event_id(c, cases.poi(c))) for c in ALL]
 
 
 def _store(spark, sf_dir, which=range(1, 31)):
-    s = cases.plant(spark, sf_dir, which)
-    return type(s)(plans.pin(s.entities, "entities"), plans.pin(s.events, "events"))
+    return ingested(spark, f"cases {list(which)}", sf_dir, lambda: cases.plant(spark, sf_dir, which))
 
 
 def _truth(store) -> DataFrame:
@@ -308,6 +308,6 @@ def cases_search(spark, sf_dir):
     store = _store(spark, sf_dir)
     out = None
     for c in ALL:
-        own = search(parse(cases.search_text(c))[0], store).graph.events.select(F.lit(c).cast("bigint").alias("case_id"), "event_id")
+        own = search(parse(cases.search_text(c))[0], store, eager=None).graph.events.select(F.lit(c).cast("bigint").alias("case_id"), "event_id")
         out = own if out is None else out.unionByName(own)
     return out

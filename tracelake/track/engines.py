@@ -26,6 +26,8 @@ from tracelake import plans
 EVERYTHING = 2**62
 #: A frontier of up to so many nodes is broadcast; a larger one meets the edges in a shuffle.
 BROADCAST_NODES = 100_000
+#: The nodes of a frontier of up to so many reach the scan as a literal list, which skips row groups sorted by node.
+LITERAL_NODES = 1000
 #: A source of up to so many edges is traced in one task.
 LOCAL_EDGES = 2_000_000
 #: The queue form asks one query per event and gives up beyond this many.
@@ -63,7 +65,10 @@ def bound_form(
             break
         level += 1
         side = F.broadcast(frontier) if nodes <= BROADCAST_NODES else frontier
-        found = edges.where((F.col("t_in") >= first) & (F.col("t_in") < last)).join(side, (F.col("key") == F.col("node")) & (F.col("t_in") >= F.col("low")) & (F.col("t_in") < F.col("high")))
+        near = edges.where((F.col("t_in") >= first) & (F.col("t_in") < last))
+        if nodes <= LITERAL_NODES:
+            near = near.where(F.col("key").isin(*{r.node for r in frontier.select("node").collect()}))
+        found = near.join(side, (F.col("key") == F.col("node")) & (F.col("t_in") >= F.col("low")) & (F.col("t_in") < F.col("high")))
         found = found.join(given.select(F.col("case_id").alias("g_case"), F.col("event_id").alias("g_event")), (F.col("case_id") == F.col("g_case")) & (F.col("event_id") == F.col("g_event")), "left_anti")
         if blocked is not None:
             found = found.join(blocked, F.col("next") == F.col("blocked"), "left_anti")

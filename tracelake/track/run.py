@@ -135,7 +135,9 @@ def track_many(
     """
     start, given = starts(seeds, source, direction)
     given = plans.pin(given, "given")  # a few events, which each round looks at
-    usable = admitted(source, nodes, edges) if filter_mode == "during" else source.events
+    # Rounds read the copy of the events that is sorted by the end at which they find edges.
+    rows = source.along("dst_id" if direction == "back" else "src_id") if isinstance(source, TraceStore) else source
+    usable = admitted(rows, nodes, edges) if filter_mode == "during" else rows.events
     in_span = F.lit(True)
     if limits.max_span_us is not None:
         span = limits.max_span_us
@@ -150,7 +152,7 @@ def track_many(
     if engine == "bound" and filter_mode == "during" and (blocked := blocked_nodes(source, nodes)) is not None:
         # Rounds look at the nodes found, so that no round joins all events with the filter.
         options["blocked"] = plans.pin(blocked, "blocked")
-        paths = engines.directed(admitted(source, NodeFilter(), edges).where(in_span), direction)
+        paths = engines.directed(admitted(rows, NodeFilter(), edges).where(in_span), direction)
     found, steps = engines.FORMS[engine](paths, start, given.select("case_id", "event_id"), limits.max_hops, **options)
     if metrics is not None:
         metrics += steps

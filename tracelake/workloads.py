@@ -13,7 +13,7 @@ from tracelake.lang import parse
 from tracelake.lang.analyze import sql_of
 from tracelake.lang.tree import Compare, Not
 from tracelake.model import oracle, views
-from tracelake.model.store import TraceStore, quality
+from tracelake.model.store import TraceStore, ingested, quality
 from tracelake.search import search
 from tracelake.search.run import joined_sql, motif_join, run_monolithic
 from tracelake.session import condition
@@ -35,9 +35,8 @@ def register(name: str, sql: str | None = None):
 
 
 def _events(spark, sf_dir) -> TraceStore:
-    """The given events as a store that is written once and scanned by each step."""
-    s = views.events(spark, sf_dir)
-    return TraceStore(plans.pin(s.entities, "entities"), plans.pin(s.events, "events"))
+    """The given events as a store that is ingested once and opened by every query."""
+    return ingested(spark, "events", sf_dir, lambda: views.events(spark, sf_dir))
 
 
 def _edges_only(df: DataFrame) -> TraceStore:
