@@ -91,7 +91,7 @@ _schemas: dict[tuple, tuple] = {}
 def ingested(spark: SparkSession, name: str, sf_dir: str, make: Callable[[], TraceStore]) -> TraceStore:
     """The store of ``make``, written once for a state of the tables in ``sf_dir`` and only opened from then on.
 
-    Events are dealt and sorted by start, so that bounds on time skip files and row
+    Events are dealt by day and sorted by start, so that bounds on time skip files and row
     groups; two copies are clustered and sorted by sink and by source. Partitions
     are balanced by size, so a node with a third of all events is split. ``name``
     must tell all that ``make`` depends on beside the tables.
@@ -99,11 +99,11 @@ def ingested(spark: SparkSession, name: str, sf_dir: str, make: Callable[[], Tra
     key = (spark.sparkContext.applicationId, plans.shared_dir(spark), name, plans.state_of(spark, sf_dir))
     made = make() if key not in _ingested or not all(plans.exists(spark, p) for p in _ingested[key]) else None
     if made is not None:
-        events = made.events
-        frames = [made.entities, events.repartitionByRange("start_us").sortWithinPartitions("start_us")]
-        frames += [events.hint("rebalance", end).sortWithinPartitions(end, "start_us") for end in ("dst_id", "src_id")]
-        _ingested[key] = [plans.write(f, label) for f, label in zip(frames, ("entities", "events", "by_sink", "by_source"))]
-        _schemas[key] = (made.entities.schema, events.schema)
+        paths = [plans.write(made.entities, "entities"), plans.write(made.events.hint("rebalance", "day").sortWithinPartitions("start_us"), "events")]
+        held = spark.read.schema(made.events.schema).parquet(paths[1])  # so that the source is asked once
+        for end in ("dst_id", "src_id"):
+            paths.append(plans.write(held.hint("rebalance", end).sortWithinPartitions(end, "start_us"), f"by_{end}"))
+        _ingested[key], _schemas[key] = paths, (made.entities.schema, made.events.schema)
     entity_schema, event_schema = _schemas[key]
     paths = _ingested[key]
     entities = spark.read.schema(entity_schema).parquet(paths[0])
