@@ -252,6 +252,37 @@ def udf_grouped(spark, sf_dir):
     return table(spark, sf_dir, "events").select("user_id", "value").groupBy("user_id").applyInPandas(spread, "user_id bigint, n bigint, spread double")
 
 
+@register("op_join_lateral_sql", f"SELECT user_id, event_id FROM (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY t DESC, event_id) AS nth FROM {_E}) WHERE nth <= 3")
+def join_lateral_sql(spark, sf_dir):
+    """The last three events of each user, asked once per user."""
+    _ev(spark, sf_dir).createOrReplaceTempView("lateral_events")
+    return spark.sql(
+        "SELECT u.user_id, l.event_id FROM (SELECT DISTINCT user_id FROM lateral_events) u, "
+        "LATERAL (SELECT e.event_id FROM lateral_events e WHERE e.user_id = u.user_id ORDER BY e.t DESC, e.event_id LIMIT 3) l"
+    )
+
+
+@register("op_udtf", "SELECT p_partkey, CAST(generate_subscripts(w, 1) - 1 AS INTEGER) AS place, unnest(w) AS word FROM (SELECT p_partkey, string_split(p_name, ' ') AS w FROM part)")
+def udtf(spark, sf_dir):
+    """A table function of one row: the words of a name with their places."""
+
+    class Words:
+        def eval(self, name: str):
+            yield from enumerate(name.split(" ") if name is not None else ())
+
+    spark.udtf.register("name_words", F.udtf(Words, returnType="place int, word string"))
+    table(spark, sf_dir, "part").createOrReplaceTempView("udtf_part")
+    return spark.sql("SELECT p_partkey, w.place, w.word FROM udtf_part, LATERAL name_words(p_name) w")
+
+
+@register("op_udf_sql", "SELECT l_orderkey, CAST(sum(CAST(floor(l_extendedprice * (1 - l_discount) * 100) AS BIGINT)) AS BIGINT) AS cents FROM lineitem GROUP BY 1")
+def udf_sql(spark, sf_dir):
+    """A function defined in SQL, which the optimiser writes into the plan."""
+    table(spark, sf_dir, "lineitem").createOrReplaceTempView("udf_lineitem")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION net_cents(price DOUBLE, discount DOUBLE) RETURNS BIGINT RETURN CAST(floor(price * (1 - discount) * 100) AS BIGINT)")
+    return spark.sql("SELECT l_orderkey, sum(net_cents(l_extendedprice, l_discount)) AS cents FROM udf_lineitem GROUP BY 1")
+
+
 @register("op_sample_stratified")
 def sample_stratified(spark, sf_dir):
     """A share of each kind of event, the same on every run."""

@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import statistics
+import threading
 import time
+import uuid
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -49,13 +51,31 @@ def needle(relevant: int, full: int) -> float:
 
 
 def time_query(make, rounds: int = 10, timeout_s: float = 1800.0) -> dict:
-    """Mean, spread and rounds of running a plan to the end, caches cleared between; a round beyond the limit is reported, not averaged."""
+    """Mean, spread and rounds of running a plan to the end, caches cleared between; a round beyond the limit is cancelled and counted, not averaged."""
     took, late = [], 0
     for _ in range(rounds):
         df = make()
+        context, group = df.sparkSession.sparkContext, f"timed-{uuid.uuid4().hex}"
         df.sparkSession.catalog.clearCache()
+        stopped = threading.Event()
+
+        def stop(context=context, group=group, stopped=stopped):
+            stopped.set()
+            context.cancelJobGroup(group)
+
+        context.setJobGroup(group, "timed query", interruptOnCancel=True)
+        timer = threading.Timer(timeout_s, stop)
         began = time.monotonic()
-        df.write.format("noop").mode("overwrite").save()
+        timer.start()
+        try:
+            df.write.format("noop").mode("overwrite").save()
+        except Exception:
+            if not stopped.is_set():
+                raise
+        finally:
+            timer.cancel()
+            for name in ("spark.jobGroup.id", "spark.job.description", "spark.job.interruptOnCancel"):
+                context.setLocalProperty(name, None)
         seconds = time.monotonic() - began
         late += seconds > timeout_s
         if seconds <= timeout_s:
@@ -91,3 +111,11 @@ def study_summary(responses: DataFrame) -> DataFrame:
         F.count(F.lit(1)).alias("people"), F.round(F.avg(F.when(done, F.col("minutes"))), 6).alias("minutes"),
         F.round(F.avg(F.when(done, F.col("queries"))), 6).alias("queries"), F.round(F.count_if(done) / F.count(F.lit(1)), 6).alias("share_finished"),
     )
+
+
+def likert(answers: DataFrame, points: int = 5) -> DataFrame:
+    """Per question: answers, and the shares below, at and above the middle of the scale; nulls don't count."""
+    at, middle = F.col("answer"), (points + 1) / 2
+    share = lambda c, name: F.round(F.count_if(c) / F.count(F.lit(1)), 6).alias(name)
+    given = answers.where(at.isNotNull())
+    return given.groupBy("question").agg(F.count(F.lit(1)).alias("answers"), share(at < middle, "disagree"), share(at == middle, "neutral"), share(at > middle, "agree"))

@@ -37,6 +37,9 @@ def parse_monitor_csv(lines: DataFrame, column: str = "value") -> DataFrame:
 class AuditLogSource(DataSource):
     """``spark.read.format("auditlog").option("path", folder)``: one partition per file, lines parsed in the reader.
 
+    With ``option("rest", "true")`` lines that aren't understood come as well, as
+    they are, in one more column ``rest``; without it they are passed over.
+
     The folder must be one that every executor reaches as a path.
     """
 
@@ -45,15 +48,19 @@ class AuditLogSource(DataSource):
         return "auditlog"
 
     def schema(self) -> str:
-        return PARSED
+        return f"{PARSED}, rest string" if _wants_rest(self.options) else PARSED
 
     def reader(self, schema) -> DataSourceReader:
         return _Reader(self.options)
 
 
+def _wants_rest(options) -> bool:
+    return str(options.get("rest", "false")).lower() == "true"
+
+
 class _Reader(DataSourceReader):
     def __init__(self, options) -> None:
-        self.path = options["path"]
+        self.path, self.rest = options["path"], _wants_rest(options)
 
     def partitions(self):
         from pathlib import Path
@@ -65,8 +72,12 @@ class _Reader(DataSourceReader):
 
         with open(partition.value) as lines:
             for line in lines:
-                if m := re.match(_LINE, line.rstrip("\n")):
-                    yield int(m[1]), m[2], m[3], int(m[4]), m[5], m[6], int(m[7] or 0), int(m[8] or 0)
+                line = line.rstrip("\n")
+                if m := re.match(_LINE, line):
+                    row = int(m[1]), m[2], m[3], int(m[4]), m[5], m[6], int(m[7] or 0), int(m[8] or 0)
+                    yield (*row, None) if self.rest else row
+                elif self.rest:
+                    yield (*[None] * 8, line)
 
 
 def to_lines(events: DataFrame) -> DataFrame:

@@ -288,6 +288,16 @@ def rq5_study(spark, sf_dir):
     return measure.study_summary(spark.createDataFrame(_STUDY, "task string, language string, minutes double, queries int, finished boolean"))
 
 
+#: Invented answers that only exercise the table.
+_LIKERT = [("easy to learn", a) for a in (5, 4, 4, 3, 2, None)] + [("would use again", a) for a in (5, 5, 3, 1)]
+
+
+@register("rq5_likert", "SELECT question, count(*) AS answers, round(count(*) FILTER (answer < 3) / count(*), 6) AS disagree, round(count(*) FILTER (answer = 3) / count(*), 6) AS neutral, "
+          f"round(count(*) FILTER (answer > 3) / count(*), 6) AS agree FROM (VALUES {', '.join(f'({q!r}, {a or "NULL"})' for q, a in _LIKERT)}) v(question, answer) WHERE answer IS NOT NULL GROUP BY 1")
+def rq5_likert(spark, sf_dir):
+    return measure.likert(spark.createDataFrame(_LIKERT, "question string, answer int"))
+
+
 def _search_sql() -> str:
     """All searches as joins, one after the other."""
     parts = []
