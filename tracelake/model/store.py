@@ -43,6 +43,10 @@ class TraceStore:
         """The same store with its events read from the copy that is sorted by ``end``, where there is one."""
         return TraceStore(self.entities, self.copies[end]) if self._whole() else self
 
+    def at_most(self, rows: int, bytes_: int = 4 * 2**30) -> bool:
+        """An ingested store is known to hold at most so many events; large ones aren't counted."""
+        return self._whole() and plans.input_bytes(self.events) <= bytes_ and self.events.count() <= rows
+
     def edges(self) -> DataFrame:
         return self.events.select(*schema.EDGE_COLUMNS)
 

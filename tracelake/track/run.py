@@ -145,7 +145,9 @@ def track_many(
         if edge[0] is not None:
             in_span = F.col("start_us") >= edge[0] - span if direction == "back" else F.col("end_us") <= edge[1] + span
     paths = engines.directed(usable.where(in_span), direction)
-    if engine == "auto":
+    if engine == "auto" and isinstance(source, TraceStore) and source.at_most(engines.LOCAL_EDGES):
+        engine = "local"
+    elif engine == "auto":
         small = plans.up_to(paths, engines.LOCAL_EDGES)
         engine, paths = ("bound", paths) if small is None else ("local", small)
     options = {"budget_s": limits.budget_s} if engine == "bound" else {}
