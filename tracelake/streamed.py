@@ -14,12 +14,14 @@ from tracelake.workloads import register
 _SOME = "event_id, host, op, src_id, dst_id, start_us, end_us, amount"
 
 
-def _stream(spark, sf_dir, twice: bool = False):
+def _stream(spark, sf_dir, twice: bool = False, closed: bool = False):
     folder = f"{plans.shared_dir(spark)}/tracelake/stream-{uuid.uuid4().hex}"
     events = views.events(spark, sf_dir).events.select(*_SOME.split(", "))
     events.write.parquet(folder)
     if twice:
         events.write.mode("append").parquet(folder)
+    if closed:
+        streaming.closed(spark.read.schema(streaming.EVENT).parquet(folder)).write.mode("append").parquet(folder)
     return streaming.with_time(spark.readStream.schema(streaming.EVENT).parquet(folder))
 
 
@@ -44,7 +46,7 @@ def stream_once(spark, sf_dir):
 
 @register("stream_bursts", oracle.with_events("SELECT src_id, min(start_us) AS from_us, max(start_us) + 1800000000 AS to_us, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY src_id ORDER BY start_us) AS s FROM (SELECT *, CASE WHEN start_us - lag(start_us) OVER (PARTITION BY src_id ORDER BY start_us) < 1800000000 THEN 0 ELSE 1 END AS new FROM ev)) GROUP BY src_id, s"))
 def stream_bursts(spark, sf_dir):
-    return _run(streaming.bursts(_stream(spark, sf_dir)), "complete")
+    return _run(streaming.bursts(_stream(spark, sf_dir, closed=True)))
 
 
 @register("stream_pair", oracle.with_events("SELECT a.event_id AS e0, b.event_id AS e1, a.dst_id AS node FROM ev a JOIN ev b ON a.dst_id = b.src_id WHERE a.op = 'read' AND b.op = 'sendto' AND b.start_us >= a.start_us AND b.start_us < a.start_us + 3600000000"))
