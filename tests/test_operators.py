@@ -87,3 +87,15 @@ def test_relational_source_reads_ranges_and_pushes_filters(spark, tmp_path):
     picked = split.where("name = 'p1'")
     assert picked.count() == 33
     assert "EqualTo(name,p1)" in picked._jdf.queryExecution().toString().replace(", ", ",")
+
+
+def test_last_three_of_each_user_whatever_the_partitions(spark, tmp_path):
+    from tracelake import registry
+
+    rows = [(k, 1 + k % 7, (k * 7919) % 10_007) for k in range(5000)] + [(5000, None, 5)]
+    events = spark.createDataFrame(rows, "event_id long, user_id long, t long")
+    events = events.select("event_id", "user_id", F.lit("view").alias("event_type"), F.lit(1.0).alias("value"), F.timestamp_micros("t").cast("timestamp_ntz").alias("ts"), F.lit('{"k": 1}').alias("props"))
+    events.repartition(8).write.parquet(f"{tmp_path}/events.parquet")
+    got = {(r.user_id, r.event_id) for r in registry.QUERIES["op_join_lateral_sql"](spark, str(tmp_path)).collect()}
+    want = {(u, e) for u in {r[1] for r in rows} for e, _ in sorted(((r[0], r[2]) for r in rows if r[1] == u), key=lambda x: (-x[1], x[0]))[:3]}
+    assert got == want

@@ -258,7 +258,8 @@ def join_lateral_sql(spark, sf_dir):
     _ev(spark, sf_dir).createOrReplaceTempView("lateral_events")
     return spark.sql(
         "SELECT u.user_id, l.event_id FROM (SELECT DISTINCT user_id FROM lateral_events) u, "
-        "LATERAL (SELECT e.event_id FROM lateral_events e WHERE e.user_id = u.user_id ORDER BY e.t DESC, e.event_id LIMIT 3) l"
+        # Not ORDER BY and LIMIT: correlated, they become a sort, a shuffle that loses its order, and row numbers without order.
+        "LATERAL (SELECT event_id FROM (SELECT e.event_id, row_number() OVER (ORDER BY e.t DESC, e.event_id) AS nth FROM lateral_events e WHERE e.user_id <=> u.user_id) WHERE nth <= 3) l"
     )
 
 
