@@ -66,3 +66,15 @@ def test_every_case_is_searched(spark, data):
     from tracelake.studies import cases_search
 
     assert {r.case_id for r in cases_search(spark, data).select("case_id").distinct().collect()} == set(range(1, 31))
+
+
+def test_words_and_study_tables_are_read_from_given_tables(spark, data):
+    from tracelake import registry
+
+    tables = {"rq4_words": "documents", "rq5_study": "orders", "rq5_likert": "orders"}
+    for name, table in tables.items():
+        got = registry.QUERIES[name](spark, data)
+        assert any(table in f for f in got.inputFiles()), name
+    orders = spark.read.parquet(f"{data}/orders.parquet").count()
+    assert sum(r.people for r in registry.QUERIES["rq5_study"](spark, data).collect()) == orders
+    assert sum(r.answers for r in registry.QUERIES["rq5_likert"](spark, data).collect()) == orders
