@@ -78,3 +78,16 @@ def test_words_and_study_tables_are_read_from_given_tables(spark, data):
     orders = spark.read.parquet(f"{data}/orders.parquet").count()
     assert sum(r.people for r in registry.QUERIES["rq5_study"](spark, data).collect()) == orders
     assert sum(r.answers for r in registry.QUERIES["rq5_likert"](spark, data).collect()) == orders
+
+
+def test_prioritised_tracing_of_a_large_source_is_that_of_a_small_one(spark, monkeypatch):
+    from tracelake import compare
+
+    rows = random_rows(11, 150)
+    s = _store(spark, rows)
+    ask = lambda limit: {(r.case_id, r.event_id) for r in rareness_traces([(0, 40), (1, 90)], s, limit).collect()}
+    limits = (1, 4, 15, 1000, None)
+    want = [ask(n) for n in limits]
+    assert want[0] < want[2] <= want[4]
+    monkeypatch.setattr(compare, "LOCAL_EDGES", 10)
+    assert [ask(n) for n in limits] == want
