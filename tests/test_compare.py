@@ -91,3 +91,17 @@ def test_prioritised_tracing_of_a_large_source_is_that_of_a_small_one(spark, mon
     assert want[0] < want[2] <= want[4]
     monkeypatch.setattr(compare, "LOCAL_EDGES", 10)
     assert [ask(n) for n in limits] == want
+
+
+def test_impact_in_blocks_is_that_of_one_task(spark, monkeypatch):
+    from tracelake import compare
+    from tracelake.compare import blocks
+
+    s = _store(spark, random_rows(5, 150))
+    ask = lambda: {tuple(r) for r in compare.impact_sweep([(0, 40), (1, 90), (2, 140)], s, [1, 3, 50]).collect()}
+    want = ask()
+    assert {n for n, _, _ in want} == {1, 3, 50}
+    monkeypatch.setattr(compare, "CASE_EDGES", 3)
+    monkeypatch.setattr(blocks, "BLOCK_NODES", 4)
+    monkeypatch.setattr(blocks, "BLOCK_EDGES", 10)
+    assert ask() == want
