@@ -260,7 +260,7 @@ class Blocks:
 
         each = scores.select("case_id", "b", "vec").mapInArrow(run, "case_id bigint, block int, place int, score double")
         entries = self.nodes.where("inward = 0").withColumn("kind", F.substring("node", 1, 1)).where(F.col("kind").isin("p", "f", "n"))
-        rank = F.row_number().over(Window.partitionBy("case_id", "kind").orderBy(F.round("score", 12).desc(), "node"))
+        rank = F.row_number().over(Window.partitionBy("case_id", "kind").orderBy(F.format_string("%.11e", "score").cast("double").desc(), "node"))
         return entries.join(each, ["case_id", "block", "place"]).withColumn("rank", rank).where(F.col("rank") <= most).select("case_id", "block", "place", "rank")
 
     def forward(self, scores: DataFrame, counts: list[int]) -> DataFrame:
